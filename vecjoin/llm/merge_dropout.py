@@ -130,7 +130,7 @@ def _merge_block(points, size, variant, v: Pieces, dropout, seed, rows, chunks,
     key = _chunk_keys(points, variant, seed)
     kinds, back = np.unique(points, return_inverse=True)
     # the space mark as typed is spelt in bytes; a space becomes the mark
-    table = np.array([-2 if k == 0 else v.char.get(_MARK, -1) if k == 32 else -1 if chr(k) in (_MARK, "\n") else v.char.get(chr(k), -1) for k in kinds.tolist()], dtype=np.int64)
+    table = np.array([v.char.get(_MARK, -1) if k == 32 else -1 if chr(k) in (_MARK, "\n") else v.char.get(chr(k), -1) for k in kinds.tolist()], dtype=np.int64)
     symbol = table[back.reshape(points.shape)]
     symbol[np.arange(width)[None, :] >= size[:, None]] = -2
     edge = np.broadcast_to(np.arange(width + 1), (n, width + 1)).copy()  # first character of each symbol, and the end

@@ -159,7 +159,7 @@ class ToxicModel:
         if not 0 < self.share < 1:
             return
         # a quarter of the documents is kept from the machine and only used for the mapping to probabilities
-        apart = [i % 4 == 3 for i in range(len(texts))] if min(sum(toxic[3::4]), len(toxic[3::4]) - sum(toxic[3::4])) >= 5 else [False] * len(texts)
+        apart = [i % 4 == 3 for i in range(len(texts))] if min(sum(toxic[3::4]), len(toxic[3::4]) - sum(toxic[3::4])) >= 25 else [False] * len(texts)
         bags = [sorted({p for w in words(t) for p in letters(w)}) for t, a in zip(texts, apart, strict=True) if not a]
         told = toxic
         toxic = [y for y, a in zip(told, apart, strict=True) if not a]
@@ -237,7 +237,7 @@ class ToxicModel:
 def _logistic(x: np.ndarray, y: np.ndarray) -> np.ndarray:
     """Slopes and offset of a logistic curve, by damped Newton steps; a small penalty keeps the slopes finite."""
     x = np.hstack([x, np.ones((len(x), 1))])
-    penalty = np.append(np.full(x.shape[1] - 1, 0.05), 0.0)
+    penalty = np.append(np.full(x.shape[1] - 1, 0.5), 0.0)
     out = np.append(np.full(x.shape[1] - 1, 1.0), 0.0)
     for _ in range(50):
         p = 1 / (1 + np.exp(-np.clip(x @ out, -30, 30)))
