@@ -2,14 +2,293 @@
 
 from __future__ import annotations
 
+import json
+from collections.abc import Callable
 
-def entry(spark, sf_dir):
-    raise NotImplementedError
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
 
+from .config import JoinConfig
+from .functions.vectors import cosine
+from .operators import apps, baselines, bucketize, join, metrics
+from .plans import graph, orchestrate
+from .sources import tables
+from .streaming import streams
 
-def queries():
-    return {}
+Query = Callable[[SparkSession, str], DataFrame]
 
+#: Distances midway between neighbouring ones of the fixtures at sf0.01; any other scale gives other counts, not wrong ones.
+EMB_EPS, PLANTED_EPS, PLANTED_WIDE, DOC_EPS = 1.137407, 0.12, 0.437245, 0.3
+EMB_CENTERS, PLANTED_CENTERS = 16, 40
 
-def oracle_sql():
-    return {}
+
+def _round(df: DataFrame, *names: str, digits: int = 5) -> DataFrame:
+    return df.withColumns({n: F.round(n, digits) for n in names})
+
+
+def _emb(cfg: dict) -> Query:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        out = join.self_join(tables.embeddings(spark, d), JoinConfig(**{"eps": EMB_EPS, "recall": 1.0, "prune": False, "centers": EMB_CENTERS, **cfg}))
+        return _round(out, "dist")
+
+    return run
+
+
+def _planted_layout(spark: SparkSession, d: str) -> tuple[join.Layout, JoinConfig]:
+    cfg = JoinConfig(eps=PLANTED_WIDE, recall=0.9, centers=PLANTED_CENTERS)
+    return join.build_layout(tables.planted(spark, d), cfg), cfg
+
+
+def _pruned(change: dict) -> Query:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        layout, cfg = _planted_layout(spark, d)
+        cfg = JoinConfig(**{**cfg.__dict__, **change})
+        return _round(graph.bucket_graph(layout.buckets, cfg, layout.d), "center_dist")
+
+    return run
+
+
+def _layout_part(part: str) -> Query:
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        layout = join.build_layout(tables.embeddings(spark, d), JoinConfig(eps=EMB_EPS, centers=EMB_CENTERS))
+        if part == "assign":
+            return _round(layout.assigned.select("vec_id", "bucket_id", "d_center"), "d_center")
+        if part == "stats":
+            return _round(layout.buckets.select("bucket_id", "radius", "n", "bytes"), "radius")
+        cand = graph.candidates(layout.buckets, 5)
+        return _round(cand.select("i", "j", "center_dist"), "center_dist")
+
+    return run
+
+
+def _edges(spark: SparkSession, d: str) -> tuple[list[tuple[int, int]], join.Layout]:
+    layout, cfg = _planted_layout(spark, d)
+    rows = graph.bucket_graph(layout.buckets, cfg, layout.d).select("i", "j").collect()  # PLANTED_CENTERS buckets
+    return sorted((r[0], r[1]) for r in rows), layout
+
+
+def cache_policies(spark: SparkSession, d: str) -> DataFrame:
+    """Loads and hit rates of each order and policy on the planted bucket graph, 8 slots."""
+    edges, _ = _edges(spark, d)
+    rows = []
+    for order in ("id", "overlap", "random"):
+        tasks = orchestrate.tasks_in_order(edges, orchestrate.order_nodes(edges, 8, order))
+        for policy in ("opt", "lru", "fifo", "lfu", "lifo"):
+            m = orchestrate.plan_cache(tasks, 8, policy)[1]
+            rows.append((order, policy, m["loads"], float(m["hit_all"]), float(m["hit_neighbor"])))
+    return spark.createDataFrame(rows, "ordering string, policy string, loads long, hit_all double, hit_neighbor double")
+
+
+def traffic_report(spark: SparkSession, d: str) -> DataFrame:
+    edges, layout = _edges(spark, d)
+    tasks = orchestrate.tasks_in_order(edges, orchestrate.order_nodes(edges, 8))
+    log, _ = orchestrate.plan_cache(tasks, 8)
+    loads = spark.createDataFrame([(b,) for _, op, b, _ in log if op == "load"], "bucket_id long")
+    return metrics.traffic(loads, layout.buckets)
+
+
+def _access(spark: SparkSession, d: str) -> DataFrame:
+    layout, cfg = _planted_layout(spark, d)
+    return graph.access_sequence(graph.id_order_tasks(graph.bucket_graph(layout.buckets, cfg, layout.d)))
+
+
+def lru_stack_distance(spark: SparkSession, d: str) -> DataFrame:
+    """For each access that isn't its bucket's first, the number of other buckets since the last one: an LRU cache of more slots hits."""
+    acc = _access(spark, d).withColumn("before", F.lag("pos").over(Window.partitionBy("bucket_id").orderBy("pos")))
+    again, all_ = acc.where("before is not null").select("pos", "before", "bucket_id"), acc.select(F.col("pos").alias("p"), F.col("bucket_id").alias("b"))
+    return again.join(all_, (F.col("p") > F.col("before")) & (F.col("p") < F.col("pos")), "left").groupBy("pos", "bucket_id").agg(F.count_distinct("b").alias("distance"))
+
+
+def neighbor_overlap(spark: SparkSession, d: str) -> DataFrame:
+    layout, cfg = _planted_layout(spark, d)
+    e = graph.bucket_graph(layout.buckets, cfg, layout.d).select("i", "j")
+    both = e.union(e.select(F.col("j").alias("i"), F.col("i").alias("j")))
+    return both.select(F.col("i").alias("x"), "j").join(both.select(F.col("i").alias("y"), "j"), "j").where("x < y").groupBy("x", "y").agg(F.count(F.lit(1)).alias("shared"))
+
+
+def _doc_pairs(spark: SparkSession, d: str) -> DataFrame:
+    return join.self_join(tables.docvec(spark, d), JoinConfig(eps=DOC_EPS, recall=1.0, prune=False, centers=32))
+
+
+def queries() -> dict[str, Query]:
+    read = tables.read
+    q: dict[str, Query] = {
+        "ssj_exact": lambda s, d: _round(baselines.exact_join(tables.embeddings(s, d), EMB_EPS), "dist"),
+        "ssj_exact_blocks": lambda s, d: _round(baselines.exact_join_blocks(tables.embeddings(s, d), EMB_EPS), "dist"),
+        "ssj_bucket_native": _emb({"executor": "native"}),
+        "ssj_bucket_edge_join": _emb({"executor": "edge_join"}),
+        "ssj_bucket_segment": _emb({"executor": "segment", "memory_fraction": 0.4}),
+        "ssj_squared_eps": _emb({"eps": EMB_EPS**2, "eps_is_squared": True}),
+        "ssj_symmetric": lambda s, d: _round(join.self_join(tables.embeddings(s, d), JoinConfig(eps=EMB_EPS, recall=1.0, prune=False, centers=EMB_CENTERS), symmetric=True), "dist"),
+        "ssj_cosine": _emb({"metric": "cosine"}),
+        "ssj_planted": lambda s, d: _round(join.self_join(tables.planted(s, d), JoinConfig(eps=PLANTED_EPS, recall=1.0, centers=PLANTED_CENTERS)), "dist"),
+        "ssj_bucket_pruned": lambda s, d: _round(join.self_join(tables.planted(s, d), JoinConfig(eps=PLANTED_WIDE, recall=0.9, centers=PLANTED_CENTERS)), "dist", digits=4),
+        "centers_hash": lambda s, d: bucketize.sample_centers(tables.embeddings(s, d), EMB_CENTERS).select("bucket_id"),
+        "centers_prefix": lambda s, d: bucketize.sample_centers(tables.embeddings(s, d), EMB_CENTERS, method="prefix").select("bucket_id"),
+        "assign_nearest": _layout_part("assign"),
+        "assign_two_level": lambda s, d: bucketize.agreement(*(bucketize.assign_buckets(tables.planted(s, d).select("vec_id", "v"), bucketize.sample_centers(tables.planted(s, d), PLANTED_CENTERS), index) for index in ("brute", "two_level"))),
+        "bucket_stats": _layout_part("stats"),
+        "nearest_centers_top5": _layout_part("top"),
+        "edges_triangle": _pruned({"prune": False}),
+        "edges_pruned_mu": _pruned({}),
+        "edges_pruned_unit": _pruned({"scale": "unit"}),
+        "edges_pruned_radius_eps": _pruned({"radius_mode": "eps"}),
+        "edges_pruned_mean_radius": _pruned({"radius_mode": "mean_plus_eps"}),
+        "edges_pruned_calibrated": _pruned({"radius_mode": "calibrated", "radius_share": 0.3}),
+        "edges_pruned_cap": _pruned({"scale": "cap"}),
+        "edges_intersection": _pruned({"edge_merge": "intersection", "radius_mode": "eps"}),
+        "edges_lambda_one": _pruned({"recall": 1.0}),
+        "estimated_loss": lambda s, d: (lambda l, c: _round(graph.estimated_loss(graph.triangle_edges(graph.candidates(l.buckets), c.distance), c, l.d), "loss"))(*_planted_layout(s, d)),
+        "candidate_counts": lambda s, d: (lambda l, c: _round(metrics.candidate_counts(graph.bucket_graph(l.buckets, c, l.d), l.buckets), "mean_degree"))(*_planted_layout(s, d)),
+        "bucket_skew": lambda s, d: _round(metrics.bucket_skew(_planted_layout(s, d)[0].buckets), "median", "below_page"),
+        "access_sequence_id_order": _access,
+        "lru_stack_distance": lru_stack_distance,
+        "neighbor_overlap": neighbor_overlap,
+        "cache_policies_loads": cache_policies,
+        "traffic_report": traffic_report,
+        "cross_join_bucket": lambda s, d: _round(join.cross_join(tables.embeddings(s, d).where("vec_id % 3 = 0"), tables.embeddings(s, d).where("vec_id % 3 <> 0"), JoinConfig(eps=EMB_EPS, recall=1.0, prune=False, centers=12)), "dist"),
+        "filtered_join": lambda s, d: _round(join.self_join(tables.embeddings(s, d), JoinConfig(eps=1.25, recall=1.0, prune=False, centers=EMB_CENTERS), where=F.col("label") == 3), "dist"),
+        "filtered_range_join": lambda s, d: _round(join.self_join(tables.embeddings(s, d), JoinConfig(eps=1.2, recall=1.0, prune=False, centers=EMB_CENTERS), where=F.col("label").between(2, 5)), "dist"),
+        "cell_replication_join": lambda s, d: _round(baselines.cell_replication_join(tables.embeddings(s, d), EMB_EPS, 12), "dist"),
+        "band_join": lambda s, d: _round(baselines.band_join(tables.planted(s, d), PLANTED_EPS), "dist"),
+        "lsh_recall": lambda s, d: metrics.recall(join.self_join(tables.planted(s, d), JoinConfig(eps=PLANTED_EPS, recall=1.0, centers=PLANTED_CENTERS)), baselines.lsh_join(tables.planted(s, d), PLANTED_EPS)),
+        "knn_join": lambda s, d: _round(baselines.knn_join(tables.embeddings(s, d), 3), "dist"),
+        "graph_probe_recall": lambda s, d: metrics.recall(baselines.exact_join(tables.embeddings(s, d), EMB_EPS), baselines.graph_probe_join(tables.embeddings(s, d), EMB_EPS, 10)),
+        "recall_report": lambda s, d: metrics.recall(baselines.exact_join_blocks(tables.planted(s, d), PLANTED_WIDE), join.self_join(tables.planted(s, d), JoinConfig(eps=PLANTED_WIDE, recall=0.9, centers=PLANTED_CENTERS))),
+        "calibrate_eps": lambda s, d: _round(apps.calibrate_eps(tables.embeddings(s, d), 2), "eps"),
+        "docvec_join": lambda s, d: _round(_doc_pairs(s, d), "dist", digits=4),
+        "dedupe_documents": lambda s, d: apps.dedupe(tables.docvec(s, d), _doc_pairs(s, d)).select("vec_id"),
+        "outlier_vectors": lambda s, d: apps.outliers(tables.embeddings(s, d), baselines.exact_join_blocks(tables.embeddings(s, d), 1.219785), 3),
+        "vector_cosine": lambda s, d: _round(tables.embeddings(s, d).alias("a").join(tables.embeddings(s, d).alias("b"), F.col("b.vec_id") == F.col("a.vec_id") + 1).select(F.col("a.vec_id").alias("vec_id"), cosine("a.v", "b.v").alias("cos")), "cos"),
+        "rel_join_asof_events": lambda s, d: read(s, d, "events").withColumn("seen", F.last(F.when(F.col("event_type") == "view", F.col("ts")), ignorenulls=True).over(Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1))).where("event_type = 'purchase'").select("event_id", F.date_format("seen", "yyyy-MM-dd HH:mm:ss").alias("seen")),
+        "rel_cube_docs": lambda s, d: read(s, d, "documents", "lang", "source", "n_chars").cube("lang", "source").agg(F.count(F.lit(1)).alias("n"), F.sum("n_chars").alias("chars")),
+        "rel_window_sliding": lambda s, d: _round(read(s, d, "orders").select("o_orderkey", F.avg("o_totalprice").over(Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey").rowsBetween(-6, 0)).alias("mean_price")), "mean_price", digits=3),
+        "rel_band_parts": lambda s, d: (lambda p: p.alias("a").join(p.alias("b"), (F.floor(F.col("a.p_retailprice")) == F.floor(F.col("b.p_retailprice"))) & (F.col("a.p_partkey") < F.col("b.p_partkey")) & (F.abs(F.col("a.p_retailprice") - F.col("b.p_retailprice")) <= 0.05)).select(F.col("a.p_partkey").alias("a"), F.col("b.p_partkey").alias("b")))(read(s, d, "part", "p_partkey", "p_retailprice")),
+        "rel_anti_unlabelled": lambda s, d: read(s, d, "documents", "doc_id", "lang").join(read(s, d, "labels", "doc_id"), "doc_id", "left_anti"),
+        "rel_top_per_group": lambda s, d: read(s, d, "customer").withColumn("r", F.row_number().over(Window.partitionBy("c_nationkey").orderBy(F.col("c_acctbal").desc(), "c_custkey"))).where("r <= 3").select("c_nationkey", "c_custkey", "r"),
+        "rel_json_events": lambda s, d: read(s, d, "events").groupBy(F.get_json_object("props", "$.k").cast("int").alias("k")).agg(F.count(F.lit(1)).alias("n")),
+        "stream_tumbling": lambda s, d: _round(streams.drain(streams.tumbling_counts(streams.event_stream(s, d))).select(F.date_format("window.start", "yyyy-MM-dd").alias("day"), "event_type", "n", "total"), "total", digits=3),
+        "stream_sliding": lambda s, d: streams.drain(streams.sliding_counts(streams.event_stream(s, d))).select(F.date_format("window.start", "yyyy-MM-dd").alias("day"), "event_type", "n"),
+        "stream_dedup": lambda s, d: streams.drain(streams.drop_repeats(streams.event_stream(s, d)), "append").select("event_id"),
+        "stream_incremental_join": lambda s, d: _round(streams.incremental_join(tables.embeddings(s, d), JoinConfig(eps=EMB_EPS, recall=1.0, prune=False, centers=8)), "dist"),
+    }
+    return q
+
+
+def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return join.self_join(tables.embeddings(spark, sf_dir), JoinConfig(eps=1.139227, recall=1.0, prune=False, centers=EMB_CENTERS, executor="native"))
+
+
+_EMB = "emb AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS v, label FROM embeddings)"
+_PLANTED = f"""{_EMB}, base AS (
+  SELECT e.*, k, n, (31 * e.vec_id + 17 * k + 7) % n AS other FROM emb e, (SELECT count(*) AS n FROM emb), (SELECT unnest(range(4)) AS k)
+), vecs AS (
+  SELECT b.k * b.n + b.vec_id AS vec_id, b.label,
+    list_transform(range(1, len(b.v) + 1), lambda i: a.v[i] + 0.35 * b.v[i] + CASE WHEN b.k > 0 THEN 0.05 * o.v[i] ELSE 0 END) AS v
+  FROM base b JOIN emb a ON a.vec_id = b.label JOIN emb o ON o.vec_id = b.other
+)"""
+_DOCVEC = """tok AS (
+  SELECT doc_id, unnest(regexp_split_to_array(lower(text), '\\s+')) AS t FROM documents
+), term AS (
+  SELECT doc_id, t, sqrt(count(*)) AS w, CAST('0x' || substr(md5(t), 1, 8) AS BIGINT) AS h FROM tok WHERE t <> '' GROUP BY doc_id, t
+), place AS (
+  SELECT doc_id, (h // 2) % 128 AS p, sum(CASE WHEN h % 2 = 1 THEN w ELSE -w END) AS x FROM term GROUP BY 1, 2
+), held AS (
+  SELECT doc_id, map_from_entries(list((p, x))) AS m, sqrt(sum(x * x)) AS size FROM place GROUP BY doc_id
+), vecs AS (
+  SELECT doc_id AS vec_id, list_transform(range(128), lambda i: coalesce(m[i], 0) / CASE WHEN size > 0 THEN size ELSE 1 END) AS v FROM held
+)"""
+
+
+def _exact(source: str, eps: float, where: str = "", digits: int = 5) -> str:
+    name = "emb" if source is _EMB else "vecs"
+    return f"WITH {source}, f AS (SELECT * FROM {name} {where}) SELECT a.vec_id AS id_lo, b.vec_id AS id_hi, round(list_distance(a.v, b.v), {digits}) AS dist FROM f a JOIN f b ON a.vec_id < b.vec_id WHERE list_distance(a.v, b.v) <= {eps}"
+
+
+def _buckets(source: str, m: int) -> str:
+    name = "emb" if source is _EMB else "vecs"
+    return f"""{source}, centers AS (
+  SELECT vec_id AS bucket_id, v AS center FROM {name} ORDER BY md5('42:' || vec_id), vec_id LIMIT {m}
+), ranked AS (
+  SELECT x.vec_id, x.v, c.bucket_id, list_distance(x.v, c.center) AS d_center, row_number() OVER (PARTITION BY x.vec_id ORDER BY list_distance(x.v, c.center), c.bucket_id) AS r FROM {name} x, centers c
+), assign AS (
+  SELECT vec_id, v, bucket_id, d_center FROM ranked WHERE r = 1
+), buckets AS (
+  SELECT bucket_id, any_value(center) AS center, max(d_center) AS radius, avg(d_center) AS mean_radius, count(*) AS n, CAST(sum(4 * len(v)) AS BIGINT) AS bytes FROM assign JOIN centers USING (bucket_id) GROUP BY bucket_id
+)"""
+
+
+def _graph(scale: str, radius: str, recall: float = 0.9, merge: int = 1, prune: bool = True) -> str:
+    keep = f"cum > 0 AND cum >= {1 - recall!r}" if prune else "true"
+    return f"""{_buckets(_PLANTED, PLANTED_CENTERS)}, tri AS (
+  SELECT a.bucket_id AS i, b.bucket_id AS j, list_distance(a.center, b.center) AS cd, {radius} AS reach
+  FROM buckets a JOIN buckets b ON a.bucket_id <> b.bucket_id WHERE list_distance(a.center, b.center) - a.radius - b.radius <= {PLANTED_WIDE}
+), summed AS (
+  SELECT *, sum({scale} * acos(least(cd / (2 * reach), 1))) OVER (PARTITION BY i ORDER BY cd DESC, j ROWS UNBOUNDED PRECEDING) AS cum FROM tri
+), edges AS (
+  SELECT least(i, j) AS i, greatest(i, j) AS j, max(cd) AS cd FROM summed WHERE {keep} GROUP BY least(i, j), greatest(i, j) HAVING count(*) >= {merge}
+)"""
+
+
+def oracle_sql() -> dict[str, str]:
+    mu = repr(graph.mu(64))
+    safe, eps = f"a.radius + {PLANTED_WIDE}", repr(PLANTED_WIDE)
+    exact = _exact(_EMB, EMB_EPS)
+    edge = "SELECT i, j, round(cd, 5) AS center_dist FROM edges"
+    doc = f"WITH {_DOCVEC}, p AS (SELECT a.vec_id AS id_lo, b.vec_id AS id_hi, list_distance(a.v, b.v) AS dist FROM vecs a JOIN vecs b ON a.vec_id < b.vec_id WHERE list_distance(a.v, b.v) <= {DOC_EPS})"
+    access = f"""{_graph(mu, safe)}, tasks AS (SELECT row_number() OVER (ORDER BY i, j) - 1 AS seq, i, j FROM edges),
+  access AS (SELECT 2 * seq AS pos, i AS bucket_id FROM tasks UNION ALL SELECT 2 * seq + 1, j FROM tasks)"""
+    events = "FROM events GROUP BY ALL"
+    out = {n: exact for n in ("ssj_exact", "ssj_exact_blocks", "ssj_bucket_native", "ssj_bucket_edge_join", "ssj_bucket_segment", "ssj_squared_eps", "cell_replication_join", "stream_incremental_join")}
+    out |= {
+        "ssj_symmetric": f"WITH p AS ({exact}) SELECT * FROM p UNION ALL SELECT id_hi AS id_lo, id_lo AS id_hi, dist FROM p",
+        "ssj_cosine": f"WITH {_EMB}, unit AS (SELECT vec_id, list_transform(v, lambda x: x / sqrt(list_inner_product(v, v))) AS v FROM emb) SELECT a.vec_id AS id_lo, b.vec_id AS id_hi, round(list_distance(a.v, b.v), 5) AS dist FROM unit a JOIN unit b ON a.vec_id < b.vec_id WHERE list_distance(a.v, b.v) <= {EMB_EPS}",
+        "ssj_planted": _exact(_PLANTED, PLANTED_EPS),
+        "band_join": _exact(_PLANTED, PLANTED_EPS),
+        "ssj_bucket_pruned": f"WITH {_graph(mu, safe)}, met AS (SELECT i, j FROM edges UNION ALL SELECT bucket_id, bucket_id FROM buckets) SELECT least(a.vec_id, b.vec_id) AS id_lo, greatest(a.vec_id, b.vec_id) AS id_hi, round(list_distance(a.v, b.v), 4) AS dist FROM met JOIN assign a ON a.bucket_id = i JOIN assign b ON b.bucket_id = j WHERE (i <> j OR a.vec_id < b.vec_id) AND list_distance(a.v, b.v) <= {eps}",
+        "centers_hash": f"WITH {_buckets(_EMB, EMB_CENTERS)} SELECT bucket_id FROM centers",
+        "centers_prefix": f"SELECT vec_id AS bucket_id FROM embeddings ORDER BY vec_id LIMIT {EMB_CENTERS}",
+        "assign_nearest": f"WITH {_buckets(_EMB, EMB_CENTERS)} SELECT vec_id, bucket_id, round(d_center, 5) AS d_center FROM assign",
+        "bucket_stats": f"WITH {_buckets(_EMB, EMB_CENTERS)} SELECT bucket_id, round(radius, 5) AS radius, n, bytes FROM buckets",
+        "nearest_centers_top5": f"WITH {_buckets(_EMB, EMB_CENTERS)}, c AS (SELECT a.bucket_id AS i, b.bucket_id AS j, list_distance(a.center, b.center) AS cd FROM buckets a JOIN buckets b ON a.bucket_id <> b.bucket_id) SELECT i, j, round(cd, 5) AS center_dist FROM (SELECT *, row_number() OVER (PARTITION BY i ORDER BY cd, j) AS r FROM c) WHERE r <= 5",
+        "edges_triangle": f"WITH {_graph(mu, safe, prune=False)} {edge}",
+        "edges_pruned_mu": f"WITH {_graph(mu, safe)} {edge}",
+        "edges_pruned_unit": f"WITH {_graph('1.0', safe)} {edge}",
+        "edges_pruned_radius_eps": f"WITH {_graph(mu, eps)} {edge}",
+        "edges_pruned_mean_radius": f"WITH {_graph(mu, f'a.mean_radius + {eps}')} {edge}",
+        "edges_pruned_calibrated": f"WITH {_graph(mu, f'{eps} + 0.3 * a.radius')} {edge}",
+        "edges_intersection": f"WITH {_graph(mu, eps, merge=2)} {edge}",
+        "edges_lambda_one": f"WITH {_graph(mu, safe, recall=1.0)} {edge}",
+        "estimated_loss": f"WITH {_graph(mu, safe)} SELECT i, round(coalesce(max(cum) FILTER (cum < {1 - 0.9!r}), 0), 5) AS loss FROM summed GROUP BY i",
+        "candidate_counts": f"WITH {_graph(mu, safe)} SELECT (SELECT count(*) FROM buckets) AS buckets, count(*) AS edges, round(count(*) / (SELECT count(*) FROM buckets), 5) AS mean_degree, CAST(sum(a.n * b.n) AS BIGINT) AS pairs_across, (SELECT CAST(sum(n * (n - 1) // 2) AS BIGINT) FROM buckets) AS pairs_within FROM edges JOIN buckets a ON a.bucket_id = i JOIN buckets b ON b.bucket_id = j",
+        "bucket_skew": f"WITH {_buckets(_PLANTED, PLANTED_CENTERS)} SELECT min(n) AS smallest, round(quantile_cont(n, 0.5), 5) AS median, max(n) AS largest, round(avg(CASE WHEN bytes < 4096 THEN 1.0 ELSE 0 END), 5) AS below_page FROM buckets",
+        "access_sequence_id_order": f"WITH {access} SELECT pos, bucket_id, lead(pos) OVER (PARTITION BY bucket_id ORDER BY pos) AS next_use FROM access",
+        "lru_stack_distance": f"WITH {access}, b AS (SELECT pos, bucket_id, lag(pos) OVER (PARTITION BY bucket_id ORDER BY pos) AS before FROM access) SELECT b.pos, b.bucket_id, count(DISTINCT a.bucket_id) AS distance FROM b LEFT JOIN access a ON a.pos > b.before AND a.pos < b.pos WHERE before IS NOT NULL GROUP BY b.pos, b.bucket_id",
+        "neighbor_overlap": f"WITH {_graph(mu, safe)}, u AS (SELECT i, j FROM edges UNION ALL SELECT j, i FROM edges) SELECT a.i AS x, b.i AS y, count(*) AS shared FROM u a JOIN u b ON a.j = b.j AND a.i < b.i GROUP BY a.i, b.i",
+        "cross_join_bucket": f"WITH {_EMB} SELECT a.vec_id AS x_id, b.vec_id AS y_id, round(list_distance(a.v, b.v), 5) AS dist FROM emb a JOIN emb b ON a.vec_id % 3 = 0 AND b.vec_id % 3 <> 0 WHERE list_distance(a.v, b.v) <= {EMB_EPS}",
+        "filtered_join": _exact(_EMB, 1.25, "WHERE label = 3"),
+        "filtered_range_join": _exact(_EMB, 1.2, "WHERE label BETWEEN 2 AND 5"),
+        "knn_join": f"WITH {_EMB}, p AS (SELECT a.vec_id, b.vec_id AS neighbor, list_distance(a.v, b.v) AS d FROM emb a JOIN emb b ON a.vec_id <> b.vec_id), r AS (SELECT *, row_number() OVER (PARTITION BY vec_id ORDER BY d, neighbor) AS rank FROM p) SELECT vec_id, neighbor, round(d, 5) AS dist, CAST(rank AS INT) AS rank FROM r WHERE rank <= 3",
+        "calibrate_eps": f"WITH {_EMB}, s AS (SELECT * FROM emb ORDER BY md5(CAST(vec_id AS VARCHAR)), vec_id LIMIT 500), p AS (SELECT list_distance(a.v, b.v) AS d FROM s a JOIN emb b ON a.vec_id <> b.vec_id), r AS (SELECT d, row_number() OVER (ORDER BY d) AS n FROM p) SELECT round(avg(d), 5) AS eps FROM r, (SELECT 2 * count(*) AS k FROM s) WHERE n IN (k, k + 1)",
+        "docvec_join": f"{doc} SELECT id_lo, id_hi, round(dist, 4) AS dist FROM p",
+        "dedupe_documents": f"{doc.replace('WITH ', 'WITH RECURSIVE ', 1)}, u AS (SELECT id_lo AS a, id_hi AS b FROM p UNION SELECT id_hi, id_lo FROM p), reach(a, b) AS (SELECT a, b FROM u UNION SELECT r.a, u.b FROM reach r JOIN u ON r.b = u.a) SELECT vec_id FROM vecs WHERE vec_id NOT IN (SELECT a FROM reach WHERE b < a)",
+        "outlier_vectors": f"WITH {_EMB}, p AS (SELECT a.vec_id, count(b.vec_id) AS neighbors FROM emb a LEFT JOIN emb b ON a.vec_id <> b.vec_id AND list_distance(a.v, b.v) <= 1.219785 GROUP BY a.vec_id) SELECT * FROM p WHERE neighbors < 3",
+        "vector_cosine": f"WITH {_EMB} SELECT a.vec_id, round(list_cosine_similarity(a.v, b.v), 5) AS cos FROM emb a JOIN emb b ON b.vec_id = a.vec_id + 1",
+        "rel_join_asof_events": "SELECT event_id, strftime(seen, '%Y-%m-%d %H:%M:%S') AS seen FROM (SELECT *, last_value(CASE WHEN event_type = 'view' THEN ts END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS seen FROM events) WHERE event_type = 'purchase'",
+        "rel_cube_docs": "SELECT lang, source, count(*) AS n, CAST(sum(n_chars) AS BIGINT) AS chars FROM documents GROUP BY CUBE (lang, source)",
+        "rel_window_sliding": "SELECT o_orderkey, round(avg(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS 6 PRECEDING), 3) AS mean_price FROM orders",
+        "rel_band_parts": "SELECT a.p_partkey AS a, b.p_partkey AS b FROM part a JOIN part b ON floor(a.p_retailprice) = floor(b.p_retailprice) AND a.p_partkey < b.p_partkey AND abs(a.p_retailprice - b.p_retailprice) <= 0.05",
+        "rel_anti_unlabelled": "SELECT doc_id, lang FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels)",
+        "rel_top_per_group": "SELECT c_nationkey, c_custkey, CAST(r AS INT) AS r FROM (SELECT *, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_acctbal DESC, c_custkey) AS r FROM customer) WHERE r <= 3",
+        "rel_json_events": "SELECT CAST(props->>'$.k' AS INT) AS k, count(*) AS n FROM events GROUP BY 1",
+        "stream_tumbling": f"SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, event_type, count(*) AS n, round(sum(value), 3) AS total {events}",
+        "stream_sliding": "SELECT strftime(date_trunc('day', ts) - to_days(CAST(back AS INT)), '%Y-%m-%d') AS day, event_type, count(*) AS n FROM events, (SELECT unnest([0, 1]) AS back) GROUP BY 1, 2",
+        "stream_dedup": "SELECT DISTINCT event_id FROM events",
+    }
+    return out
+
+
+def describe() -> str:
+    """Names of all queries, and whether SQL checks them."""
+    sql = oracle_sql()
+    return json.dumps({n: n in sql for n in queries()}, indent=0)
