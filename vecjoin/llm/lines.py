@@ -17,7 +17,6 @@ from .kernels import mix64, ranges, signed, string_buffer, tokenize
 
 SCHEMA = "doc_id long, unit_no int, h1 long, h2 long, simhash long, n_words int, first int, last int"
 SLICE_BYTES = 4 << 20
-_BIT = np.uint64(1)
 
 
 def slices(batch: pa.RecordBatch, column: int = 1, most: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
@@ -35,20 +34,41 @@ def simhashes(hashes: np.ndarray, unit: np.ndarray, n: int) -> np.ndarray:
     out = np.zeros(n, np.uint64)
     if not len(hashes):
         return out
-    key = np.lexsort((hashes, unit))
-    h, u = hashes[key], unit[key]
-    new = np.ones(len(h), bool)
-    new[1:] = (h[1:] != h[:-1]) | (u[1:] != u[:-1])
-    h, u = mix64(h[new]), u[new]
-    block = 1 << 15  # words at a time; a unit that goes on is added up
-    votes = np.zeros((n, 64), np.int32)
-    for a in range(0, len(h), block):
-        bits = np.unpackbits(h[a : a + block].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").astype(np.int16)
-        own = u[a : a + block]
-        head = np.flatnonzero(np.append(True, own[1:] != own[:-1]))
-        votes[own[head]] += 2 * np.add.reduceat(bits, head, axis=0).astype(np.int32) - np.diff(np.append(head, len(own)))[:, None].astype(np.int32)
-    packed = np.packbits(votes > 0, axis=1, bitorder="little")
-    return packed.view(np.uint64).reshape(-1)
+    _, h, head = _distinct(hashes, unit, n)
+    # eight lanes of eight one-byte counters for each word; a byte holds the votes of up to 255 words
+    lanes = _LANES[mix64(h).view(np.uint8).reshape(-1, 8)]
+    size = np.diff(np.append(head, len(h)))
+    parts = -(-size // 255)
+    cut = np.repeat(head, parts) + 255 * ranges(parts)
+    sums = np.add.reduceat(lanes, cut, axis=0).view(np.uint8).reshape(-1, 64).astype(np.int32)
+    votes = np.add.reduceat(sums, np.cumsum(parts) - parts, axis=0)
+    packed = np.packbits(2 * votes > size[:, None], axis=1, bitorder="little")
+    out[unit_of(hashes, unit)] = packed.view(np.uint64).reshape(-1)
+    return out
+
+
+def unit_of(hashes: np.ndarray, unit: np.ndarray) -> np.ndarray:
+    """The units that have a word, in order."""
+    return unit[np.append(True, unit[1:] != unit[:-1])] if len(unit) else unit
+
+
+def _distinct(hashes: np.ndarray, unit: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct words (42 bits of their hashes) of each unit in order, and where each unit begins."""
+    own = np.cumsum(np.append(False, unit[1:] != unit[:-1])).astype(np.uint64)
+    if n < 1 << 22:
+        both = np.sort((own << np.uint64(42)) | (hashes >> np.uint64(22)))
+        both = both[np.append(True, both[1:] != both[:-1])]
+        u, h = both >> np.uint64(42), both & np.uint64((1 << 42) - 1)
+    else:
+        order = np.lexsort((hashes, own))
+        u, h = own[order], hashes[order] >> np.uint64(22)
+        keep = np.append(True, (u[1:] != u[:-1]) | (h[1:] != h[:-1]))
+        u, h = u[keep], h[keep]
+    return u, h, np.flatnonzero(np.append(True, u[1:] != u[:-1]))
+
+
+#: For each byte, a one-byte counter for each of its bits.
+_LANES = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1, bitorder="little").copy().view(np.uint64).reshape(-1)
 
 
 def _cuts(data: np.ndarray, offsets: np.ndarray, paragraphs: bool) -> tuple[np.ndarray, np.ndarray]:
