@@ -6,7 +6,6 @@ Parquet into the session's checkpoint folder and reads it again as the next stag
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -14,7 +13,7 @@ from pyspark.sql import functions as F
 
 from vecjoin.llm import benchmark_winnowing, fuzzy_lines, merge_dropout, toxicity_kernel, weighted_minhash
 from vecjoin.llm.registry import toxic_model
-from vecjoin.llm.tables import read
+from vecjoin.llm.tables import folder, read
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
@@ -53,10 +52,9 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    folder = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="vecjoin-")
     docs = read(spark, sf_dir, "documents")
     for name, stage in STAGES:
-        path = f"{folder}/pipeline-{uuid.uuid4().hex}-{name}"
+        path = f"{folder(spark)}/pipeline-{uuid.uuid4().hex}-{name}"
         stage(spark, docs, sf_dir).write.parquet(path)
         docs = spark.read.parquet(path)
     return docs
