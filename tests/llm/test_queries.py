@@ -171,6 +171,16 @@ def edit(a, b):
     return row[-1]
 
 
+def test_edit_distance():
+    rng = random.Random(1)
+    for _ in range(400):
+        a = "".join(rng.choice("abé ") for _ in range(rng.randint(0, 90)))
+        b = "".join(c for c in a if rng.random() > 0.1) if rng.random() < 0.5 else "".join(rng.choice("abé ") for _ in range(rng.randint(0, 90)))
+        true = edit(a, b)
+        assert fuzzy_lines.edit_distance(a, b, 200) == true
+        assert (fuzzy_lines.edit_distance(a, b, 12) <= 12) == (true <= 12)
+
+
 def test_fuzzy_lines_brute(spark):
     rng = random.Random(9)
     vocabulary = [f"{a}{b}{c}" for a in "bdfgk" for b in "aeiou" for c in ("lm", "nt", "rs")]
