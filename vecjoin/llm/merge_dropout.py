@@ -34,7 +34,6 @@ DROPOUT, SEED, VARIANTS = 0.1, 7, 4
 _MARK = "▁"
 _CHUNK = re.compile(r"\n| *[^ \n]+| +")
 _FULL = np.iinfo(np.int32).max
-_WIDE = 48  # characters of a chunk that is merged beside others
 
 
 class Pieces:
@@ -104,10 +103,10 @@ def _skipped(key: np.ndarray, start: np.ndarray, middle: np.ndarray, end: np.nda
     return (h >> np.uint64(11)) * (1.0 / (1 << 53)) < dropout
 
 
-def merge_chunks(chunks: list[str], variant: np.ndarray, vocabulary: Pieces, dropout: float, seed: int) -> tuple[np.ndarray, np.ndarray]:
-    """Piece ids of each chunk, one after the other, and how many each has."""
+def merge_chunks(chunks: list[str], variant: np.ndarray, vocabulary: Pieces, dropout: float, seed: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Piece ids of all chunks, and where each chunk's begin and how many they are."""
     size = np.array([len(c) for c in chunks], dtype=np.int64)
-    out: list = [None] * len(chunks)
+    out: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
     order = np.argsort(size, kind="stable")
     a = 0
     while a < len(order):
@@ -121,8 +120,11 @@ def merge_chunks(chunks: list[str], variant: np.ndarray, vocabulary: Pieces, dro
         own = np.frombuffer("".join(chunks[i] for i in rows.tolist()).encode("utf-32-le", "surrogatepass"), np.uint32)
         points[np.repeat(np.arange(len(rows)), size[rows]), ranges(size[rows])] = own
         _merge_block(points, size[rows], variant[rows], vocabulary, dropout, seed, rows, chunks, out)
-    flat = np.concatenate([np.zeros(0, np.int64), *out])
-    return flat, np.array([len(o) for o in out], dtype=np.int64)
+    rows = np.concatenate([np.zeros(0, np.int64), *(o[0] for o in out)])
+    each = np.concatenate([np.zeros(0, np.int64), *(o[1] for o in out)])
+    begin, count = np.zeros(len(chunks), np.int64), np.zeros(len(chunks), np.int64)
+    begin[rows], count[rows] = np.cumsum(each) - each, each
+    return np.concatenate([np.zeros(0, np.int32), *(o[2] for o in out)]), begin, count
 
 
 def _merge_block(points, size, variant, v: Pieces, dropout, seed, rows, chunks, out) -> None:
@@ -182,11 +184,9 @@ def _merge_block(points, size, variant, v: Pieces, dropout, seed, rows, chunks,
             for j in range(count[i]):
                 s = int(symbol[i, j])
                 ids.extend([s] if 0 <= s < len(v.size) else v.byte_id[list(text[edge[i, j]].encode("utf-8", "surrogatepass"))].tolist())
-            out[rows[live[i]]] = np.array(ids, dtype=np.int64)
+            out.append((rows[live[i : i + 1]], np.array([len(ids)]), np.array(ids, dtype=np.int32)))
         clean = np.flatnonzero(~plain)
-        flat = symbol[clean][symbol[clean] != -2]
-        for i, part in zip(rows[live[clean]].tolist(), np.split(flat, np.cumsum(count[clean])[:-1]) if len(clean) else [], strict=True):
-            out[i] = part
+        out.append((rows[live[clean]], count[clean], symbol[clean][symbol[clean] != -2].astype(np.int32)))
 
 
 def encode(texts: list[str | None], vocabulary: Pieces, dropout: float = DROPOUT, seed: int = SEED, variants: int = VARIANTS) -> tuple[np.ndarray, np.ndarray]:
@@ -202,10 +202,9 @@ def encode(texts: list[str | None], vocabulary: Pieces, dropout: float = DROPOUT
         index.extend([number.setdefault((c, kind), len(number)) for c in _CHUNK.findall(" " + t)])
         per_text[i] = len(index) - before
     if not index:
-        return np.zeros(0, np.int64), per_text
+        return np.zeros(0, np.int32), per_text
     chunk = np.array(index)
-    flat, count = merge_chunks([c for c, _ in number], np.array([k for _, k in number]), vocabulary, dropout, seed)
-    begin = np.cumsum(count) - count
+    flat, begin, count = merge_chunks([c for c, _ in number], np.array([k for _, k in number]), vocabulary, dropout, seed)
     each = count[chunk]
     ids = flat[np.repeat(begin[chunk], each) + ranges(each)]
     total = np.bincount(np.repeat(np.arange(len(texts)), per_text), weights=each, minlength=len(texts)).astype(np.int64)
@@ -219,13 +218,20 @@ def _variant(text: str, seed: int, variants: int) -> int:
 
 
 def decode(ids: np.ndarray, count: np.ndarray, vocabulary: Pieces) -> list[str]:
-    """Texts of runs of piece ids."""
-    each = vocabulary.size[ids]
-    data = vocabulary.flat[np.repeat(vocabulary.begin[ids], each) + ranges(each)].tobytes()
-    ends = np.cumsum(each)
-    last = np.cumsum(count)
-    at = [0, *(int(ends[z - 1]) if z else 0 for z in last.tolist())]
-    return [data[a:z].decode("utf-8", "surrogatepass")[1:] for a, z in zip(at, at[1:], strict=False)]
+    """Texts of runs of piece ids, some hundred thousand pieces at a time."""
+    ends = np.cumsum(count)
+    out: list[str] = []
+    a = 0
+    while a < len(count):
+        base = int(ends[a - 1]) if a else 0
+        z = max(a + 1, int(np.searchsorted(ends, base + 300_000, "right")))
+        own = ids[base : int(ends[z - 1])]
+        each = vocabulary.size[own]
+        data = vocabulary.flat[np.repeat(vocabulary.begin[own], each) + ranges(each)].tobytes()
+        at = np.append(0, np.cumsum(each))[np.append(base, ends[a:z]) - base].tolist()
+        out += [data[p:q].decode("utf-8", "surrogatepass")[1:] for p, q in zip(at, at[1:], strict=False)]
+        a = z
+    return out
 
 
 def encode_docs(docs: DataFrame, dropout: float = DROPOUT, seed: int = SEED, variants: int = VARIANTS, model: str = MODEL, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -234,7 +240,7 @@ def encode_docs(docs: DataFrame, dropout: float = DROPOUT, seed: int = SEED, var
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocabulary = pieces(model)
         for whole in batches:
-            for batch in slices(whole, 1, 8 << 20):
+            for batch in slices(whole, 1, 5 << 20):
                 texts = batch.column(1).to_pylist()
                 ids, count = encode(texts, vocabulary, dropout, seed, variants)
                 back = decode(ids, count, vocabulary)
