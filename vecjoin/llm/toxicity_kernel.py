@@ -106,17 +106,20 @@ class Kernel:
             ends = after
         return np.sqrt(sum(x for row in ends for x in row))
 
-    def tensor(self, piece: str) -> np.ndarray:
-        out = np.zeros(_LETTERS**3)
-        for _, key, weight in self.blocks([piece]):
-            np.add.at(out, key[0], weight[0])
+
+    def tensors(self, pieces: list[str]) -> np.ndarray:
+        """The tensors of several words, one per column."""
+        out = np.zeros((_LETTERS**3, len(pieces)), np.float32)
+        for n, piece in enumerate(pieces):
+            for _, key, weight in self.blocks([piece]):
+                np.add.at(out[:, n], key[0], weight[0])
         return out
 
     def against(self, pieces: list[str], tensors: np.ndarray) -> np.ndarray:
         """Kernel values of each word with each of the ``tensors`` (one per column)."""
-        out = np.zeros((len(pieces), tensors.shape[1]))
+        out = np.zeros((len(pieces), tensors.shape[1]), np.float32)
         for own, key, weight in self.blocks(pieces, 1 << 14):
-            out[own] = np.einsum("wtl,wt->wl", tensors[key], weight)
+            out[own] = np.einsum("wtl,wt->wl", tensors[key], weight.astype(np.float32))
         return out
 
     def folded(self, pieces: list[str], tensor: np.ndarray) -> np.ndarray:
@@ -129,7 +132,7 @@ class Kernel:
 
 def hinge(x: np.ndarray, y: np.ndarray, weight: np.ndarray, c: float = 2.0, steps: int = 40) -> np.ndarray:
     """Weights and bias of a linear support vector machine with squared hinge loss (y: -1 or 1), by Newton steps on the rows inside the margin."""
-    x = np.hstack([x, np.ones((len(x), 1))])
+    x = np.hstack([x, np.ones((len(x), 1), x.dtype)])
     w = np.zeros(x.shape[1])
     ridge = np.append(np.ones(x.shape[1] - 1), 1e-3)
 
@@ -140,7 +143,7 @@ def hinge(x: np.ndarray, y: np.ndarray, weight: np.ndarray, c: float = 2.0, step
     for _ in range(steps):
         on = y * (x @ w) < 1
         xs, ws = x[on], weight[on]
-        target = np.linalg.solve((xs * (2 * c * ws)[:, None]).T @ xs + np.diag(ridge), xs.T @ (2 * c * ws * y[on]))
+        target = np.linalg.solve(((xs * (2 * c * ws)[:, None].astype(xs.dtype)).T @ xs).astype(float) + np.diag(ridge), xs.T @ (2 * c * ws * y[on]))
         size = 1.0
         while size > 1e-3 and (new := loss(w + size * (target - w))) > now:
             size /= 2
@@ -160,7 +163,8 @@ class ToxicModel:
             return
         # a quarter of the documents is kept from the machine and only used for the mapping to probabilities
         apart = [i % 4 == 3 for i in range(len(texts))] if min(sum(toxic[3::4]), len(toxic[3::4]) - sum(toxic[3::4])) >= 25 else [False] * len(texts)
-        bags = [sorted({p for w in words(t) for p in letters(w)}) for t, a in zip(texts, apart, strict=True) if not a]
+        same: dict[str, str] = {}  # one copy of each word
+        bags = [sorted({same.setdefault(p, p) for w in words(t) for p in letters(w)}) for t, a in zip(texts, apart, strict=True) if not a]
         told = toxic
         toxic = [y for y, a in zip(told, apart, strict=True) if not a]
         good, bad = [b for b, y in zip(bags, toxic, strict=True) if not y], [b for b, y in zip(bags, toxic, strict=True) if y]
@@ -194,10 +198,11 @@ class ToxicModel:
         for _ in range(ROUNDS):
             # landmarks: the words most seen in toxic documents, and clean ones that look like them most
             marks = list(dict.fromkeys(some + near + negative))[:LANDMARKS]
-            tensors = np.stack([self.kernel.tensor(m) for m in marks], axis=1)
-            value, vector = np.linalg.eigh(self.kernel.against(marks, tensors))
-            root = vector[:, value > 1e-6] / np.sqrt(value[value > 1e-6])
-            x = self.kernel.against(positive + negative, tensors) @ root
+            tensors = None  # the last round's go before this round's come
+            tensors = self.kernel.tensors(marks)
+            value, vector = np.linalg.eigh(self.kernel.against(marks, tensors).astype(float))
+            root = vector[:, value > 1e-5] / np.sqrt(value[value > 1e-5])
+            x = self.kernel.against(positive + negative, tensors) @ root.astype(np.float32)
             y = np.append(np.ones(len(positive)), -np.ones(len(negative)))
             often = np.sqrt(np.array([1.0 + seen[w] for w in positive] + [1.0 + clean[w] for w in negative]))
             often[: len(positive)] *= max(1.0, often[len(positive) :].sum() / often[: len(positive)].sum() / 4)
