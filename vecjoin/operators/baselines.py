@@ -179,3 +179,71 @@ def band_join(vectors: DataFrame, eps: float, seed: int = 42) -> DataFrame:
     b = keyed.select(F.col("vec_id").alias("y"), F.col("v").alias("vy"), F.col("p").alias("py"), F.explode(F.array(F.col("cell"), F.col("cell") - 1)).alias("cell"), F.col("cell").alias("own"))
     met = a.join(b, "cell").where((F.abs(F.col("px") - F.col("py")) <= eps * (1 + 1e-9)) & ((F.col("own") != F.col("cell")) | (F.col("x") < F.col("y"))))
     return met.select(F.least("x", "y").alias("id_lo"), F.greatest("x", "y").alias("id_hi"), l2("vx", "vy").alias("dist")).where(F.col("dist") <= eps)
+
+
+class ProductCodes:
+    """Vectors as one byte for each of ``parts`` slices: the nearest of up to 256 words of the slice's book, learned by a few rounds of means on a bounded sample."""
+
+    def __init__(self, sample: np.ndarray, parts: int = 8, words: int = 256, rounds: int = 8, seed: int = 42):
+        rng = np.random.default_rng(seed)
+        self.slices = np.array_split(np.arange(sample.shape[1]), parts)
+        self.books = []
+        for at in self.slices:
+            x = sample[:, at]
+            book = x[rng.permutation(len(x))[:words]].copy()
+            for _ in range(rounds):
+                near = self._near(x, book)
+                for w in np.unique(near):
+                    book[w] = x[near == w].mean(axis=0)
+            self.books.append(book)
+
+    @staticmethod
+    def _near(x: np.ndarray, book: np.ndarray) -> np.ndarray:
+        return ((book * book).sum(axis=1)[None, :] - 2 * x @ book.T).argmin(axis=1)
+
+    def encode(self, x: np.ndarray) -> np.ndarray:
+        return np.column_stack([self._near(x[:, at], book) for at, book in zip(self.slices, self.books, strict=True)]).astype(np.uint8)
+
+    def distances(self, q: np.ndarray, codes: np.ndarray) -> np.ndarray:
+        """Squared distances of one uncoded query to coded vectors, by a table for each slice."""
+        return sum(((book - q[at]) ** 2).sum(axis=1)[codes[:, s]] for s, (at, book) in enumerate(zip(self.slices, self.books, strict=True)))
+
+
+def code_probe_join(vectors: DataFrame, eps: float, k: int, code_bytes: int = 8, words: int = 256, sample: int = 10_000, parts: int = 4, ask: float = 1.0) -> DataFrame:
+    """Every vector ranks the codes of each part of the data, and its ``k`` best there are verified; few code bytes cap the recall.
+
+    ``ask`` takes that share of the queries by hash, for estimates of time or recall. The books come from at most ``sample`` vectors.
+    """
+    seen = vectors.orderBy(F.md5(F.col("vec_id").cast("string")), "vec_id").limit(sample).select("v").collect()  # bounded by a parameter
+    if not seen:
+        return vectors.sparkSession.createDataFrame([], PAIRS)
+    codes = ProductCodes(np.array([r[0] for r in seen], dtype=float), code_bytes, words)
+    dealt = vectors.select("vec_id", "v", F.pmod(F.xxhash64("vec_id"), F.lit(parts)).cast("int").alias("own"), (F.pmod(F.xxhash64("vec_id", F.lit(5)), F.lit(1_000_000)) < ask * 1_000_000).alias("asks"))
+    sent = dealt.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(parts - 1)))).where("asks OR own = part")
+
+    def probe(table: pa.Table) -> pa.Table:
+        ids, x, mine = table["vec_id"].to_numpy(), matrix(table["v"].combine_chunks()), table["own"].to_numpy() == table["part"][0].as_py()
+        own, held, coded = ids[mine], x[mine], codes.encode(x[mine])
+        lo, hi, dist = [], [], []
+        for i in np.flatnonzero(table["asks"].to_numpy()) if len(own) else ():
+            guess = codes.distances(x[i], coded)
+            take = np.argpartition(guess, min(k, len(guess) - 1))[: k + 1]
+            d = np.sqrt(((held[take] - x[i]) ** 2).sum(axis=1))
+            for j, e in zip(take[d <= eps].tolist(), d[d <= eps].tolist(), strict=True):
+                if own[j] != ids[i]:
+                    lo.append(min(ids[i], own[j])), hi.append(max(ids[i], own[j])), dist.append(e)
+        return pa.table({"id_lo": pa.array(lo, pa.int64()), "id_hi": pa.array(hi, pa.int64()), "dist": pa.array(dist, pa.float64())})
+
+    return sent.groupBy("part").applyInArrow(probe, PAIRS).groupBy("id_lo", "id_hi").agg(F.min("dist").alias("dist"))
+
+
+def tune_k(vectors: DataFrame, eps: float, wanted: float, exact: DataFrame, limit: int = 1024) -> tuple[int, float]:
+    """The first k of 1, 2, 4, ... at which the graph probe's recall of the ``exact`` pairs reaches ``wanted``, and that recall (of ``limit`` where none does)."""
+    from .metrics import recall
+
+    k, got = 1, 0.0
+    while True:
+        got = recall(exact, graph_probe_join(vectors, eps, k)).first()["recall"]
+        if got >= wanted or k >= limit:
+            return k, got
+        k *= 2

@@ -129,3 +129,33 @@ def blocks(assigned: DataFrame, block_rows: int = 4096) -> DataFrame:
         return pa.table({"bucket_id": table["bucket_id"][:1], "block_no": table["block_no"][:1], "ids": pa.array([table["vec_id"].to_numpy()], pa.list_(pa.int64())), "mat": pa.array([x.tobytes()], pa.binary())})
 
     return dealt.select("bucket_id", "block_no", "vec_id", "v").groupBy("bucket_id", "block_no").applyInArrow(pack, "bucket_id long, block_no int, ids array<long>, mat binary")
+
+
+def kmeans_centers(vectors: DataFrame, m: int, iterations: int = 5, seed: int = 42) -> DataFrame:
+    """(bucket_id, center): sampled centres moved to the means of their members, one scan of the data for each iteration.
+
+    Tasks send one sum per centre they met; a centre without members stays where it was. The centres' size is checked as in ``assign_buckets``.
+    """
+    centers = sample_centers(vectors, m, seed)
+    for _ in range(iterations):
+        assigned = assign_buckets(vectors.select("vec_id", "v"), centers, "brute")
+
+        def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            total: dict[int, np.ndarray] = {}
+            n: dict[int, int] = {}
+            for batch in batches:
+                x, b = matrix(batch.column(0)), batch.column(1).to_numpy()
+                for c in np.unique(b).tolist():
+                    rows = x[b == c]
+                    total[c] = total.get(c, 0) + rows.sum(axis=0)
+                    n[c] = n.get(c, 0) + len(rows)
+            keys = list(total)
+            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array([n[k] for k in keys], pa.int64()), pa.array([total[k] for k in keys], pa.list_(pa.float64()))], names=["bucket_id", "n", "total"])
+
+        part = assigned.select("v", "bucket_id").mapInArrow(sums, "bucket_id long, n long, total array<double>")
+        size = part.groupBy("bucket_id").agg(F.sum("n").alias("n"))
+        place = part.select("bucket_id", F.posexplode("total").alias("p", "x")).groupBy("bucket_id", "p").agg(F.sum("x").alias("x"))
+        mean = place.join(size, "bucket_id").groupBy("bucket_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("p", (F.col("x") / F.col("n")).alias("c")))), lambda e: e["c"]).alias("mean"))
+        rows = centers.join(mean, "bucket_id", "left").select("bucket_id", F.coalesce("mean", "center").alias("center")).collect()  # within BROADCAST_BYTES
+        centers = vectors.sparkSession.createDataFrame(rows, "bucket_id long, center array<double>")
+    return centers

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from ..config import JoinConfig
 from ..functions.vectors import close_pairs, l2, normalize
 from ..plans import graph, orchestrate
-from .bucketize import assign_buckets, blocks, bucket_stats, sample_centers
+from .bucketize import assign_buckets, blocks, bucket_stats, matrix, sample_centers
 
 PAIRS = "id_lo long, id_hi long, dist double"
 #: Edges of at most so many bytes are ordered in one piece; a larger graph is cut by the first bucket's hash.
@@ -58,14 +58,29 @@ def _pairs(batch_ids: list, eps: float) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([join(lo, pa.int64()), join(hi, pa.int64()), join(dist, pa.float64())], names=["id_lo", "id_hi", "dist"])
 
 
+def near_border(x: np.ndarray, own: np.ndarray, other: np.ndarray, eps: float) -> np.ndarray:
+    """Rows within ``eps`` of the plane halfway between two centres; the rest of a bucket of nearest vectors can't match the other bucket."""
+    apart = float(np.sqrt(((own - other) ** 2).sum()))
+    if apart == 0:
+        return np.ones(len(x), bool)
+    beyond = ((x - other) ** 2).sum(axis=1) - ((x - own) ** 2).sum(axis=1)
+    return beyond <= 2 * apart * eps * (1 + 1e-9) + 1e-9
+
+
 def execute_edge_join(layout: Layout, edges: DataFrame, cfg: JoinConfig) -> DataFrame:
     """Blocks meet by two joins on the bucket ids; each pair of blocks is one matrix product."""
     stored = blocks(layout.assigned.select("bucket_id", "vec_id", "v"), cfg.block_rows)
     a = stored.select(F.col("bucket_id").alias("i"), F.col("block_no").alias("bi"), F.col("ids").alias("ia"), F.col("mat").alias("ma"))
     b = stored.select(F.col("bucket_id").alias("j"), F.col("block_no").alias("bj"), F.col("ids").alias("ib"), F.col("mat").alias("mb"))
-    across = edges.select("i", "j").join(a, "i").join(b, "j").select("ia", "ma", "ib", "mb")
-    within = a.join(b, (F.col("i") == F.col("j")) & (F.col("bi") < F.col("bj"))).select("ia", "ma", "ib", "mb")
-    alone = a.select("ia", "ma", F.lit(None).cast("array<long>").alias("ib"), F.lit(None).cast("binary").alias("mb"))
+    none = F.lit(None).cast("array<double>")
+    if cfg.margin_filter:
+        center = layout.buckets.select("bucket_id", "center")
+        edges = edges.join(center.select(F.col("bucket_id").alias("i"), F.col("center").alias("ci")), "i").join(center.select(F.col("bucket_id").alias("j"), F.col("center").alias("cj")), "j")
+    else:
+        edges = edges.select("i", "j", none.alias("ci"), none.alias("cj"))
+    across = edges.select("i", "j", "ci", "cj").join(a, "i").join(b, "j").select("ia", "ma", "ib", "mb", "ci", "cj")
+    within = a.join(b, (F.col("i") == F.col("j")) & (F.col("bi") < F.col("bj"))).select("ia", "ma", "ib", "mb", none.alias("ci"), none.alias("cj"))
+    alone = a.select("ia", "ma", F.lit(None).cast("array<long>").alias("ib"), F.lit(None).cast("binary").alias("mb"), none.alias("ci"), none.alias("cj"))
     eps = cfg.distance
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -73,6 +88,10 @@ def execute_edge_join(layout: Layout, edges: DataFrame, cfg: JoinConfig) -> Data
             for r in range(batch.num_rows):
                 ia, ma = _unpack(batch.column(0), batch.column(1), r)
                 ib, mb = _unpack(batch.column(2), batch.column(3), r) if batch.column(2)[r].is_valid else (None, None)
+                if batch.column(4)[r].is_valid:
+                    ci, cj = batch.column(4)[r].values.to_numpy(), batch.column(5)[r].values.to_numpy()
+                    near_j, near_i = near_border(ma, ci, cj, eps), near_border(mb, cj, ci, eps)
+                    ia, ma, ib, mb = ia[near_j], ma[near_j], ib[near_i], mb[near_i]
                 yield _pairs([(ia, ma, ib, mb)], eps)
 
     return across.union(within).union(alone).mapInArrow(verify, PAIRS)
@@ -154,6 +173,41 @@ def self_join(vectors: DataFrame, cfg: JoinConfig, layout: Layout | None = None,
     return out
 
 
+def calibrate_radius(layout: Layout, cfg: JoinConfig, sample: int = 500, steps: int = 8) -> JoinConfig:
+    """``cfg`` with the smallest share of the bucket radius, by halving, at which sampled vectors keep ``recall`` of their true partners.
+
+    The partners of the ``sample`` vectors of smallest keyed hash are found once among all vectors and counted by pairs of buckets; a step compares counts only.
+    """
+    asked = layout.assigned.orderBy(F.md5(F.concat(F.lit(f"{cfg.seed}#"), F.col("vec_id").cast("string"))), "vec_id").limit(sample).select("vec_id", "bucket_id", "v").collect()  # a parameter bounds it
+    if not asked:
+        return replace(cfg, radius_mode="calibrated", radius_share=1.0)
+    ids, homes, held = np.array([r[0] for r in asked]), np.array([r[1] for r in asked], np.int64), np.array([r[2] for r in asked], dtype=float)
+    eps = cfg.distance
+
+    def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            p, q, _ = close_pairs(matrix(batch.column(2)), held, eps)
+            other = batch.column(0).to_numpy()[p] != ids[q]
+            here, there = batch.column(1).to_numpy()[p][other], homes[q][other]
+            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(here, there), pa.int64()), pa.array(np.maximum(here, there), pa.int64())], names=["i", "j"])
+
+    counts = layout.assigned.select("vec_id", "bucket_id", "v").mapInArrow(meet, "i long, j long").groupBy("i", "j").agg(F.count(F.lit(1)).alias("n")).persist()
+    total, own = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum(F.when(F.col("i") == F.col("j"), F.col("n"))), F.lit(0))).first()
+
+    def kept(share: float) -> float:
+        edges = graph.bucket_graph(layout.buckets, replace(cfg, radius_mode="calibrated", radius_share=share), layout.d)
+        return (own + (counts.join(edges.select("i", "j"), ["i", "j"]).agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0])) / total
+
+    low, high = 0.0, 1.0
+    if total == 0 or kept(0.0) >= cfg.recall:
+        high = 0.0
+    for _ in range(steps if high else 0):
+        middle = (low + high) / 2
+        low, high = (low, middle) if kept(middle) >= cfg.recall else (middle, high)
+    counts.unpersist()
+    return replace(cfg, radius_mode="calibrated", radius_share=high)
+
+
 def cross_join(x: DataFrame, y: DataFrame, cfg: JoinConfig) -> DataFrame:
     """(x_id, y_id, dist) of pairs of two sets within the distance: separate buckets, and a graph between them."""
     a, b = build_layout(x, cfg), build_layout(y, cfg)

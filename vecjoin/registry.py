@@ -3,16 +3,18 @@
 from __future__ import annotations
 
 import json
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from . import workloads
 from .config import JoinConfig
 from .functions.vectors import cosine
-from .operators import apps, baselines, bucketize, join, metrics
+from .operators import apps, baselines, bucketize, join, metrics, replay
 from .plans import graph, orchestrate
-from .sources import tables
+from .sources import storage, tables
 from .streaming import streams
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -110,6 +112,44 @@ def _doc_pairs(spark: SparkSession, d: str) -> DataFrame:
     return join.self_join(tables.docvec(spark, d), JoinConfig(eps=DOC_EPS, recall=1.0, prune=False, centers=32))
 
 
+def replayed(spark: SparkSession, d: str) -> DataFrame:
+    cfg = JoinConfig(eps=EMB_EPS, recall=1.0, prune=False, centers=EMB_CENTERS, memory_fraction=0.4)
+    stored = replay.write_layout(tables.embeddings(spark, d), cfg, f"{storage.folder(spark)}/layout-{uuid.uuid4().hex}")
+    return _round(replay.self_join_on(stored, cfg, run_tasks=40), "dist")
+
+
+def calibrated_recall(spark: SparkSession, d: str) -> DataFrame:
+    """Radius share chosen from sampled vectors, and the recall of all vectors with it."""
+    v = tables.planted(spark, d)
+    layout, cfg = _planted_layout(spark, d)
+    chosen = join.calibrate_radius(layout, cfg, sample=200)
+    return metrics.recall(baselines.exact_join_blocks(v, PLANTED_WIDE), join.self_join(v, chosen, layout)).withColumn("radius_share", F.lit(chosen.radius_share))
+
+
+def kmeans_spread(spark: SparkSession, d: str) -> DataFrame:
+    """Mean squared distance to the centre after 0, 1 and 3 rounds of means."""
+    v, out = tables.planted(spark, d), None
+    for rounds in (0, 1, 3):
+        one = bucketize.assign_buckets(v, bucketize.kmeans_centers(v, PLANTED_CENTERS, rounds)).agg(F.lit(rounds).alias("rounds"), F.avg(F.col("d_center") ** 2).alias("mean_square"))
+        out = one if out is None else out.union(one)
+    return out
+
+
+def code_recall(spark: SparkSession, d: str) -> DataFrame:
+    """Recall of the code probe with 1, 4 and 16 codes of 16 words for each vector, two partners asked of each part."""
+    v, out = tables.embeddings(spark, d), None
+    exact = baselines.exact_join_blocks(v, EMB_EPS)
+    for size in (1, 4, 16):
+        one = metrics.recall(exact, baselines.code_probe_join(v, EMB_EPS, 2, size, 16)).select(F.lit(size).alias("codes"), "*")
+        out = one if out is None else out.union(one)
+    return out
+
+
+def tuned_k(spark: SparkSession, d: str) -> DataFrame:
+    v = tables.embeddings(spark, d)
+    return spark.createDataFrame([baselines.tune_k(v, EMB_EPS, 0.95, baselines.exact_join(v, EMB_EPS))], "k long, recall double")
+
+
 def queries() -> dict[str, Query]:
     read = tables.read
     q: dict[str, Query] = {
@@ -123,6 +163,12 @@ def queries() -> dict[str, Query]:
         "ssj_cosine": _emb({"metric": "cosine"}),
         "ssj_planted": lambda s, d: _round(join.self_join(tables.planted(s, d), JoinConfig(eps=PLANTED_EPS, recall=1.0, centers=PLANTED_CENTERS)), "dist"),
         "ssj_bucket_pruned": lambda s, d: _round(join.self_join(tables.planted(s, d), JoinConfig(eps=PLANTED_WIDE, recall=0.9, centers=PLANTED_CENTERS)), "dist", digits=4),
+        "ssj_bucket_replay": replayed,
+        "ssj_bucket_margin": _emb({"margin_filter": True}),
+        "ssj_calibrated_radius": calibrated_recall,
+        "kmeans_spread": kmeans_spread,
+        "code_probe_recall": code_recall,
+        "graph_probe_tuned_k": tuned_k,
         "centers_hash": lambda s, d: bucketize.sample_centers(tables.embeddings(s, d), EMB_CENTERS).select("bucket_id"),
         "centers_prefix": lambda s, d: bucketize.sample_centers(tables.embeddings(s, d), EMB_CENTERS, method="prefix").select("bucket_id"),
         "assign_nearest": _layout_part("assign"),
@@ -172,7 +218,7 @@ def queries() -> dict[str, Query]:
         "stream_dedup": lambda s, d: streams.drain(streams.drop_repeats(streams.event_stream(s, d)), "append").select("event_id"),
         "stream_incremental_join": lambda s, d: _round(streams.incremental_join(tables.embeddings(s, d), JoinConfig(eps=EMB_EPS, recall=1.0, prune=False, centers=8)), "dist"),
     }
-    return q
+    return q | workloads.queries()
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -239,7 +285,7 @@ def oracle_sql() -> dict[str, str]:
     access = f"""{_graph(mu, safe)}, tasks AS (SELECT row_number() OVER (ORDER BY i, j) - 1 AS seq, i, j FROM edges),
   access AS (SELECT 2 * seq AS pos, i AS bucket_id FROM tasks UNION ALL SELECT 2 * seq + 1, j FROM tasks)"""
     events = "FROM events GROUP BY ALL"
-    out = {n: exact for n in ("ssj_exact", "ssj_exact_blocks", "ssj_bucket_native", "ssj_bucket_edge_join", "ssj_bucket_segment", "ssj_squared_eps", "cell_replication_join", "stream_incremental_join")}
+    out = {n: exact for n in ("ssj_exact", "ssj_exact_blocks", "ssj_bucket_native", "ssj_bucket_edge_join", "ssj_bucket_segment", "ssj_squared_eps", "ssj_bucket_replay", "ssj_bucket_margin", "cell_replication_join", "stream_incremental_join")}
     out |= {
         "ssj_symmetric": f"WITH p AS ({exact}) SELECT * FROM p UNION ALL SELECT id_hi AS id_lo, id_lo AS id_hi, dist FROM p",
         "ssj_cosine": f"WITH {_EMB}, unit AS (SELECT vec_id, list_transform(v, lambda x: x / sqrt(list_inner_product(v, v))) AS v FROM emb) SELECT a.vec_id AS id_lo, b.vec_id AS id_hi, round(list_distance(a.v, b.v), 5) AS dist FROM unit a JOIN unit b ON a.vec_id < b.vec_id WHERE list_distance(a.v, b.v) <= {EMB_EPS}",
@@ -271,6 +317,7 @@ def oracle_sql() -> dict[str, str]:
         "knn_join": f"WITH {_EMB}, p AS (SELECT a.vec_id, b.vec_id AS neighbor, list_distance(a.v, b.v) AS d FROM emb a JOIN emb b ON a.vec_id <> b.vec_id), r AS (SELECT *, row_number() OVER (PARTITION BY vec_id ORDER BY d, neighbor) AS rank FROM p) SELECT vec_id, neighbor, round(d, 5) AS dist, CAST(rank AS INT) AS rank FROM r WHERE rank <= 3",
         "calibrate_eps": f"WITH {_EMB}, s AS (SELECT * FROM emb ORDER BY md5(CAST(vec_id AS VARCHAR)), vec_id LIMIT 500), p AS (SELECT list_distance(a.v, b.v) AS d FROM s a JOIN emb b ON a.vec_id <> b.vec_id), r AS (SELECT d, row_number() OVER (ORDER BY d) AS n FROM p) SELECT round(avg(d), 5) AS eps FROM r, (SELECT 2 * count(*) AS k FROM s) WHERE n IN (k, k + 1)",
         "docvec_join": f"{doc} SELECT id_lo, id_hi, round(dist, 4) AS dist FROM p",
+        "exp_filtered": f"WITH {_DOCVEC}, f AS (SELECT vec_id, v FROM vecs JOIN documents ON doc_id = vec_id WHERE lang = 'en') SELECT a.vec_id AS id_lo, b.vec_id AS id_hi, list_distance(a.v, b.v) AS dist FROM f a JOIN f b ON a.vec_id < b.vec_id WHERE list_distance(a.v, b.v) <= {DOC_EPS}",
         "dedupe_documents": f"{doc.replace('WITH ', 'WITH RECURSIVE ', 1)}, u AS (SELECT id_lo AS a, id_hi AS b FROM p UNION SELECT id_hi, id_lo FROM p), reach(a, b) AS (SELECT a, b FROM u UNION SELECT r.a, u.b FROM reach r JOIN u ON r.b = u.a) SELECT vec_id FROM vecs WHERE vec_id NOT IN (SELECT a FROM reach WHERE b < a)",
         "outlier_vectors": f"WITH {_EMB}, p AS (SELECT a.vec_id, count(b.vec_id) AS neighbors FROM emb a LEFT JOIN emb b ON a.vec_id <> b.vec_id AND list_distance(a.v, b.v) <= 1.219785 GROUP BY a.vec_id) SELECT * FROM p WHERE neighbors < 3",
         "vector_cosine": f"WITH {_EMB} SELECT a.vec_id, round(list_cosine_similarity(a.v, b.v), 5) AS cos FROM emb a JOIN emb b ON b.vec_id = a.vec_id + 1",
