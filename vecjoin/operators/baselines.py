@@ -9,6 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.proximity import ProximityGraph
 from ..functions.vectors import close_pairs, dot, l2
 from .bucketize import matrix, sample_centers
 
@@ -100,52 +101,6 @@ def knn_join(vectors: DataFrame, k: int) -> DataFrame:
     return near.withColumn("rank", F.row_number().over(Window.partitionBy("vec_id").orderBy("dist", "neighbor"))).where(F.col("rank") <= k)
 
 
-class ProximityGraph:
-    """A search graph over vectors: near neighbours, thinned so that links point in different directions."""
-
-    def __init__(self, x: np.ndarray, degree: int = 16, alpha: float = 1.2):
-        self.x = x
-        sq = (x * x).sum(axis=1)
-        near = sq[None, :] + sq[:, None] - 2 * x @ x.T
-        np.fill_diagonal(near, np.inf)
-        pool = np.argsort(near, axis=1)[:, : 3 * degree]
-        self.links: list[list[int]] = []
-        for i in range(len(x)):
-            kept: list[int] = []
-            for j in pool[i].tolist():
-                if len(kept) == degree:
-                    break
-                if all(alpha * alpha * near[j, r] > near[i, j] for r in kept):
-                    kept.append(j)
-            self.links.append(kept)
-        for i, own in enumerate(list(map(list, self.links))):
-            for j in own:
-                if i not in self.links[j] and len(self.links[j]) < 2 * degree:
-                    self.links[j].append(i)
-        self.entry = int(np.argmin(((x - x.mean(axis=0)) ** 2).sum(axis=1))) if len(x) else 0
-
-    def search(self, q: np.ndarray, k: int, beam: int) -> tuple[list[int], int]:
-        """The k best found with a beam, and how many nodes were read."""
-        import heapq
-
-        dist = {self.entry: float(((self.x[self.entry] - q) ** 2).sum())}
-        todo, best, read = [(dist[self.entry], self.entry)], [(-dist[self.entry], self.entry)], 0
-        while todo:
-            d, i = heapq.heappop(todo)
-            if len(best) >= max(k, beam) and d > -best[0][0]:
-                break
-            read += 1
-            for j in self.links[i]:
-                if j not in dist:
-                    dist[j] = e = float(((self.x[j] - q) ** 2).sum())
-                    if len(best) < max(k, beam) or e < -best[0][0]:
-                        heapq.heappush(todo, (e, j))
-                        heapq.heappush(best, (-e, j))
-                        if len(best) > max(k, beam):
-                            heapq.heappop(best)
-        return [j for _, j in sorted((-d, j) for d, j in best)[:k]], read
-
-
 def graph_probe_join(vectors: DataFrame, eps: float, k: int, beam: int = 48, degree: int = 16, parts: int = 4) -> DataFrame:
     """Every vector asks a proximity graph for its k nearest and keeps those within ``eps``: one graph for each part of the data, every query sent to all parts.
 

@@ -9,6 +9,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.proximity import ProximityGraph
+
 #: Centres of at most so many bytes are sent to every task; beyond that, cells come first.
 BROADCAST_BYTES = 64 << 20
 
@@ -39,10 +41,11 @@ def nearest(x: np.ndarray, centers: np.ndarray) -> tuple[np.ndarray, np.ndarray]
     return at, np.sqrt(((x - centers[at]) ** 2).sum(axis=1))
 
 
-def assign_buckets(vectors: DataFrame, centers: DataFrame, index: str = "auto", probe: int = 3) -> DataFrame:
+def assign_buckets(vectors: DataFrame, centers: DataFrame, index: str = "auto", probe: int = 3, degree: int = 16, beam: int = 48) -> DataFrame:
     """``vectors`` with bucket_id and d_center.
 
-    brute compares with all centres, which are sent to the tasks (their size is checked); two_level sends about
+    brute compares with all centres, which are sent to the tasks (their size is checked); graph sends a proximity graph
+    of as many centres, and a vector sees about ``beam`` x ``degree`` of them; two_level sends about
     sqrt(m) coarse centres only, moves vectors and centres (each to its ``probe`` nearest cells) to cells, and looks there.
     """
     kept = list(vectors.columns)
@@ -50,12 +53,12 @@ def assign_buckets(vectors: DataFrame, centers: DataFrame, index: str = "auto",
     fits = size["m"] * size["d"] * 8 <= BROADCAST_BYTES
     if index == "auto":
         index = "brute" if fits else "two_level"
-    if index == "brute":
+    if index in ("brute", "graph"):
         if not fits:
             raise ValueError("too many centres to send to every task")
-        return _assign_all(vectors, centers, kept)
+        return _assign_all(vectors, centers, kept) if index == "brute" else _assign_by_graph(vectors, centers, kept, degree, beam)
     if index != "two_level":
-        raise ValueError("index is auto, brute or two_level")
+        raise ValueError("index is auto, brute, graph or two_level")
     coarse = centers.orderBy(F.xxhash64("bucket_id"), "bucket_id").limit(max(1, round(size["m"] ** 0.5)))
     celled = _assign_all(vectors, coarse, kept).withColumnRenamed("bucket_id", "cell").drop("d_center")
     near = _nearest_cells(centers, coarse, probe)
@@ -92,6 +95,22 @@ def _assign_all(vectors: DataFrame, centers: DataFrame, kept: list[str]) -> Data
     return vectors.mapInArrow(run, vectors.selectExpr("*", "0L AS bucket_id", "0D AS d_center").schema)
 
 
+def _assign_by_graph(vectors: DataFrame, centers: DataFrame, kept: list[str], degree: int, beam: int) -> DataFrame:
+    rows = centers.orderBy("bucket_id").collect()  # within BROADCAST_BYTES
+    ids = np.array([r["bucket_id"] for r in rows], dtype=np.int64)
+    sent = vectors.sparkSession.sparkContext.broadcast(ProximityGraph(np.array([r["center"] for r in rows], dtype=float), degree)) if rows else None
+    place = kept.index("v")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            x = matrix(batch.column(place))
+            at = np.array([sent.value.search(q, 1, beam)[0][0] for q in x], dtype=int) if batch.num_rows else np.zeros(0, int)
+            d = np.sqrt(((x - sent.value.x[at]) ** 2).sum(axis=1)) if batch.num_rows else np.zeros(0)
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(ids[at]), pa.array(d)], names=[*kept, "bucket_id", "d_center"])
+
+    return vectors.mapInArrow(run, vectors.selectExpr("*", "0L AS bucket_id", "0D AS d_center").schema)
+
+
 def _nearest_cells(centers: DataFrame, coarse: DataFrame, probe: int) -> DataFrame:
     rows = coarse.orderBy("bucket_id").collect()  # about sqrt(m)
     ids, held = np.array([r["bucket_id"] for r in rows], dtype=np.int64), np.array([r["center"] for r in rows], dtype=float)

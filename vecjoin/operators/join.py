@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from ..config import JoinConfig
 from ..functions.vectors import close_pairs, l2, normalize
 from ..plans import graph, orchestrate
+from ..sources.storage import stored
 from .bucketize import assign_buckets, blocks, bucket_stats, matrix, sample_centers
 
 PAIRS = "id_lo long, id_hi long, dist double"
@@ -37,8 +38,8 @@ def build_layout(vectors: DataFrame, cfg: JoinConfig) -> Layout:
     size = vectors.agg(F.count(F.lit(1)), F.max(F.size("v"))).first()
     m = cfg.centers or max(1, round(size[0] * cfg.centers_fraction))
     centers = sample_centers(vectors.select("vec_id", "v"), m, cfg.seed)
-    assigned = assign_buckets(vectors, centers)
-    return Layout(vectors, assigned, bucket_stats(assigned, centers), size[1] or 1, size[0])
+    assigned = stored(assign_buckets(vectors, centers))
+    return Layout(vectors, assigned, stored(bucket_stats(assigned, centers)), size[1] or 1, size[0])
 
 
 def _unpack(ids: pa.Array, mats: pa.Array, row: int) -> tuple[np.ndarray, np.ndarray]:
@@ -213,7 +214,7 @@ def cross_join(x: DataFrame, y: DataFrame, cfg: JoinConfig) -> DataFrame:
     a, b = build_layout(x, cfg), build_layout(y, cfg)
     left = a.buckets.select(F.col("bucket_id").alias("i"), F.col("center").alias("ci"), F.col("radius").alias("r_i"), F.col("mean_radius").alias("m_i"))
     right = b.buckets.select(F.col("bucket_id").alias("j"), F.col("center").alias("cj"), F.col("radius").alias("r_j"), F.col("mean_radius").alias("m_j"))
-    cand = left.join(right, l2("ci", "cj") - F.col("r_i") - F.col("r_j") <= cfg.distance).withColumn("center_dist", l2("ci", "cj"))
+    cand = graph.near_pairs(left, right, cfg.distance)
     if cfg.prune and a.d > 1:
         mine = graph.prune_edges(cand.select("i", "j", "center_dist", "r_i", "m_i"), cfg, a.d).select("i", "j")
         theirs = graph.prune_edges(cand.select(F.col("j").alias("i"), F.col("i").alias("j"), "center_dist", F.col("r_j").alias("r_i"), F.col("m_j").alias("m_i")), cfg, a.d).select(F.col("j").alias("i"), F.col("i").alias("j"))

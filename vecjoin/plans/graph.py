@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from ..config import JoinConfig
 from ..functions.vectors import l2
+from ..operators.bucketize import assign_buckets
 
 
 def mu(d: int) -> float:
@@ -27,10 +28,14 @@ def cap_share(x: float, d: int) -> float:
     return area * math.exp(math.lgamma(d / 2 + 1) - math.lgamma((d + 1) / 2)) / math.sqrt(math.pi)
 
 
+def _sides(buckets: DataFrame) -> tuple[DataFrame, DataFrame]:
+    left = buckets.select(F.col("bucket_id").alias("i"), F.col("center").alias("ci"), F.col("radius").alias("r_i"), F.col("mean_radius").alias("m_i"), F.col("n").alias("n_i"))
+    return left, buckets.select(F.col("bucket_id").alias("j"), F.col("center").alias("cj"), F.col("radius").alias("r_j"), F.col("n").alias("n_j"))
+
+
 def candidates(buckets: DataFrame, neighbor_limit: int | None = None) -> DataFrame:
     """(i, j, center_dist, r_i, r_j, m_i, n_i, n_j) of ordered pairs of buckets; with a limit, just the nearest ones of each."""
-    left = buckets.select(F.col("bucket_id").alias("i"), F.col("center").alias("ci"), F.col("radius").alias("r_i"), F.col("mean_radius").alias("m_i"), F.col("n").alias("n_i"))
-    right = buckets.select(F.col("bucket_id").alias("j"), F.col("center").alias("cj"), F.col("radius").alias("r_j"), F.col("n").alias("n_j"))
+    left, right = _sides(buckets)
     out = left.join(right, F.col("i") != F.col("j")).withColumn("center_dist", l2("ci", "cj")).drop("ci", "cj")
     if neighbor_limit is not None:
         w = Window.partitionBy("i").orderBy("center_dist", "j")
@@ -38,6 +43,24 @@ def candidates(buckets: DataFrame, neighbor_limit: int | None = None) -> DataFra
     return out
 
 
+def near_pairs(left: DataFrame, right: DataFrame, eps: float, cells: int | None = None) -> DataFrame:
+    """``left`` (i, ci, r_i, ...) with ``right`` (j, cj, r_j, ...) where the balls come within ``eps``, and center_dist.
+
+    Balls go to the nearest of about sqrt(m) centres; only cells whose own balls, grown over all their members, come
+    within ``eps`` are opened, so just the cells (about m pairs) are compared each with each. No pair is lost.
+    """
+    size = left.count()
+    picked = left.orderBy(F.xxhash64("i"), "i").limit(cells or max(1, math.ceil(size**0.5))).select(F.col("i").alias("bucket_id"), F.col("ci").alias("center"))
+    a = assign_buckets(left.withColumnRenamed("ci", "v"), picked, "brute").withColumnsRenamed({"v": "ci", "bucket_id": "cell_i", "d_center": "d_i"})
+    b = assign_buckets(right.withColumnRenamed("cj", "v"), picked, "brute").withColumnsRenamed({"v": "cj", "bucket_id": "cell_j", "d_center": "d_j"})
+    wide = a.groupBy("cell_i").agg(F.max(F.col("d_i") + F.col("r_i")).alias("w_i")).join(picked.select(F.col("bucket_id").alias("cell_i"), F.col("center").alias("x")), "cell_i")
+    deep = b.groupBy("cell_j").agg(F.max(F.col("d_j") + F.col("r_j")).alias("w_j")).join(picked.select(F.col("bucket_id").alias("cell_j"), F.col("center").alias("y")), "cell_j")
+    apart = l2("x", "y") - F.col("w_i") - F.col("w_j")
+    opened = wide.join(deep, apart <= F.lit(eps) + 1e-9 * (1 + F.col("w_i") + F.col("w_j"))).select("cell_i", "cell_j")
+    met = a.drop("d_i").join(opened, "cell_i").join(b.drop("d_j"), "cell_j").withColumn("center_dist", l2("ci", "cj")).drop("ci", "cj", "cell_i", "cell_j")
+    return met.where(F.col("center_dist") - F.col("r_i") - F.col("r_j") <= eps)
+
+
 def triangle_edges(cand: DataFrame, eps: float) -> DataFrame:
     """Candidates whose balls come within ``eps`` of each other; no other pair can hold a match."""
     return cand.where(F.col("center_dist") - F.col("r_i") - F.col("r_j") <= eps)
@@ -77,7 +100,10 @@ def merge_edges(kept: DataFrame, how: str = "union") -> DataFrame:
 
 
 def bucket_graph(buckets: DataFrame, cfg: JoinConfig, d: int) -> DataFrame:
-    edges = triangle_edges(candidates(buckets, cfg.neighbor_limit), cfg.distance)
+    if cfg.neighbor_limit is None:
+        edges = near_pairs(*_sides(buckets), cfg.distance).where("i <> j")
+    else:
+        edges = triangle_edges(candidates(buckets, cfg.neighbor_limit), cfg.distance)
     return merge_edges(prune_edges(edges, cfg, d) if cfg.prune and d > 1 else edges, cfg.edge_merge)
 
 

@@ -109,7 +109,13 @@ def neighbor_overlap(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _doc_pairs(spark: SparkSession, d: str) -> DataFrame:
-    return join.self_join(tables.docvec(spark, d), JoinConfig(eps=DOC_EPS, recall=1.0, prune=False, centers=32))
+    return join.self_join(storage.stored(tables.docvec(spark, d)), JoinConfig(eps=DOC_EPS, recall=1.0, prune=False, centers=32))
+
+
+def dedupe_documents(spark: SparkSession, d: str) -> DataFrame:
+    vectors = storage.stored(tables.docvec(spark, d))
+    pairs = join.self_join(vectors, JoinConfig(eps=DOC_EPS, recall=1.0, prune=False, centers=32))
+    return apps.dedupe(vectors.select("vec_id"), pairs)
 
 
 def replayed(spark: SparkSession, d: str) -> DataFrame:
@@ -203,7 +209,7 @@ def queries() -> dict[str, Query]:
         "recall_report": lambda s, d: metrics.recall(baselines.exact_join_blocks(tables.planted(s, d), PLANTED_WIDE), join.self_join(tables.planted(s, d), JoinConfig(eps=PLANTED_WIDE, recall=0.9, centers=PLANTED_CENTERS))),
         "calibrate_eps": lambda s, d: _round(apps.calibrate_eps(tables.embeddings(s, d), 2), "eps"),
         "docvec_join": lambda s, d: _round(_doc_pairs(s, d), "dist", digits=4),
-        "dedupe_documents": lambda s, d: apps.dedupe(tables.docvec(s, d), _doc_pairs(s, d)).select("vec_id"),
+        "dedupe_documents": dedupe_documents,
         "outlier_vectors": lambda s, d: apps.outliers(tables.embeddings(s, d), baselines.exact_join_blocks(tables.embeddings(s, d), 1.219785), 3),
         "vector_cosine": lambda s, d: _round(tables.embeddings(s, d).alias("a").join(tables.embeddings(s, d).alias("b"), F.col("b.vec_id") == F.col("a.vec_id") + 1).select(F.col("a.vec_id").alias("vec_id"), cosine("a.v", "b.v").alias("cos")), "cos"),
         "rel_join_asof_events": lambda s, d: read(s, d, "events").withColumn("seen", F.last(F.when(F.col("event_type") == "view", F.col("ts")), ignorenulls=True).over(Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1))).where("event_type = 'purchase'").select("event_id", F.date_format("seen", "yyyy-MM-dd HH:mm:ss").alias("seen")),

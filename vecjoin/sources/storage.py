@@ -26,6 +26,13 @@ def folder(spark: SparkSession) -> str:
     return context.getCheckpointDir()
 
 
+def stored(df: DataFrame) -> DataFrame:
+    """``df`` written once as a table in the checkpoint folder and read from there, so that no later step computes it again."""
+    path = f"{folder(df.sparkSession)}/table-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def open_files(path: str) -> tuple[fs.FileSystem, str]:
     """File system and plain path of a local path or URL."""
     if urlparse(path).scheme in ("", "file"):

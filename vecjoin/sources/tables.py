@@ -32,7 +32,8 @@ def planted(spark: SparkSession, sf_dir: str, copies: int = 4) -> DataFrame:
 
 def hash_vectors(df: DataFrame, id_col: str, text: str, d: int = 128) -> DataFrame:
     """(vec_id, v): signed square-root term counts hashed into ``d`` places, scaled to unit length; texts without a token have no row."""
-    token = df.select(F.col(id_col).alias("vec_id"), F.explode(F.split(F.lower(F.col(text)), "\\s+")).alias("t")).where("t <> ''")
+    moved = df.select(F.col(id_col).alias("vec_id"), F.col(text).alias("text")).repartition("vec_id")  # the only exchange: all three groupings hold the id
+    token = moved.select("vec_id", F.explode(F.split(F.lower("text"), "\\s+")).alias("t")).where("t <> ''")
     h = F.conv(F.substring(F.md5("t"), 1, 8), 16, 10).cast("long")
     term = token.groupBy("vec_id", "t").agg(F.count(F.lit(1)).alias("n")).withColumn("h", h)
     place = term.groupBy("vec_id", F.pmod(F.floor(F.col("h") / 2), F.lit(d)).cast("int").alias("p")).agg(F.sum(F.sqrt("n") * F.when(F.col("h") % 2 == 1, 1.0).otherwise(-1.0)).alias("x"))
