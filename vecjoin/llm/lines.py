@@ -13,10 +13,13 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .kernels import mix64, ranges, signed, string_buffer, tokenize
+from .kernels import list_array, mix64, ranges, signed, string_buffer, tokenize
 
 SCHEMA = "doc_id long, unit_no int, h1 long, h2 long, simhash long, n_words int, first int, last int"
 SLICE_BYTES = 4 << 20
+BANDS = 12
+_TURN = mix64(np.arange(1, 2 * BANDS + 1, dtype=np.uint64))
+_ODD = mix64(_TURN) | np.uint64(1)
 
 
 def slices(batch: pa.RecordBatch, column: int = 1, most: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
@@ -47,6 +50,38 @@ def simhashes(hashes: np.ndarray, unit: np.ndarray, n: int) -> np.ndarray:
     return out
 
 
+def band_keys(hashes: np.ndarray, width: np.ndarray, unit: np.ndarray, n: int) -> np.ndarray:
+    """``BANDS`` 32-bit keys for each of ``n`` units, each of the two word pairs that come first in two random orders.
+
+    The ends of a unit count as words, so w words have w + 1 pairs. A pair weighs its bytes, as short
+    pairs are the common ones; two units agree in a key with the square of the share of the weight that they have in common.
+    """
+    out = np.zeros((n, BANDS), np.int32)
+    if not len(hashes):
+        return out
+    new = np.append(True, unit[1:] != unit[:-1])
+    head = np.flatnonzero(new)
+    before = np.append(np.uint64(0), hashes[:-1])
+    before[head] = 0
+    # each word with the one before it, and after the last word of a unit its end
+    size = np.diff(np.append(head, len(hashes)))
+    begin = head + np.arange(len(head))
+    pair = np.empty(len(hashes) + len(head), np.uint64)
+    pair[np.arange(len(hashes)) + np.cumsum(new) - 1] = mix64(before * np.uint64(0xD6E8FEB86659FD93) + hashes)
+    pair[begin + size] = mix64(hashes[head + size - 1] * np.uint64(0xD6E8FEB86659FD93))
+    weight = np.empty(len(pair))
+    weight[np.arange(len(hashes)) + np.cumsum(new) - 1] = np.where(new, 0, np.append(0, width[:-1])) + width
+    weight[begin + size] = width[head + size - 1]
+    weight = 1 / weight
+    chosen = unit[head]
+    for band in range(BANDS):
+        key = np.zeros(len(head), np.uint64)
+        for turn in (2 * band, 2 * band + 1):
+            key = mix64(key + np.minimum.reduceat(((pair ^ _TURN[turn]) * _ODD[turn]) * weight, begin).view(np.uint64))
+        out[chosen, band] = (key >> np.uint64(32)).astype(np.uint32).view(np.int32)
+    return out
+
+
 def unit_of(hashes: np.ndarray, unit: np.ndarray) -> np.ndarray:
     """The units that have a word, in order."""
     return unit[np.append(True, unit[1:] != unit[:-1])] if len(unit) else unit
@@ -90,7 +125,7 @@ def _cuts(data: np.ndarray, offsets: np.ndarray, paragraphs: bool) -> tuple[np.n
     return first, last
 
 
-def unit_rows(batches: Iterator[pa.RecordBatch], with_simhash: bool, paragraphs: bool, min_words: int) -> Iterator[pa.RecordBatch]:
+def unit_rows(batches: Iterator[pa.RecordBatch], with_simhash: bool, paragraphs: bool, min_words: int, with_bands: bool = False) -> Iterator[pa.RecordBatch]:
     for whole in batches:
         for batch in slices(whole):
             data, offsets = string_buffer(batch.column(1))
@@ -99,7 +134,7 @@ def unit_rows(batches: Iterator[pa.RecordBatch], with_simhash: bool, paragraphs:
             per_text = np.bincount(text, minlength=batch.num_rows)
             number = ranges(per_text)
             cuts = np.unique(np.concatenate([first, last, offsets]))
-            hashes, begin, _ = tokenize(data, cuts)
+            hashes, begin, end = tokenize(data, cuts)
             unit = np.searchsorted(last, begin, "right")
             n = len(first)
             words = np.bincount(unit, minlength=n)
@@ -116,9 +151,18 @@ def unit_rows(batches: Iterator[pa.RecordBatch], with_simhash: bool, paragraphs:
             start = first - base - (np.searchsorted(follow, first) - skip)
             stop = last - base - (np.searchsorted(follow, last) - skip)
             at = np.flatnonzero(big)
+            names = ["doc_id", "unit_no", "h1", "h2", "simhash", "n_words", "first", "last"]
+            bands = []
+            if with_bands:
+                chosen = big[unit]
+                keys = band_keys(hashes[chosen], (end - begin)[chosen], unit[chosen], n)[at]
+                # code points of the normal form: those of the words and one space between each two
+                size = np.bincount(unit, weights=end - begin, minlength=n).astype(np.int64) - (np.searchsorted(follow, last) - np.searchsorted(follow, first)) + words - 1
+                bands = [list_array(pa.array(keys.reshape(-1)), np.full(len(at), BANDS)), pa.array(size[at].astype(np.int32))]
+                names = [*names, "bands", "size"]
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0).take(pa.array(text[at])), pa.array(number[at].astype(np.int32)), pa.array(signed(h1[at])), pa.array(signed(h2[at])), pa.array(signed(sim[at])), pa.array(words[at].astype(np.int32)), pa.array(start[at].astype(np.int32)), pa.array(stop[at].astype(np.int32))],
-                names=["doc_id", "unit_no", "h1", "h2", "simhash", "n_words", "first", "last"],
+                [batch.column(0).take(pa.array(text[at])), pa.array(number[at].astype(np.int32)), pa.array(signed(h1[at])), pa.array(signed(h2[at])), pa.array(signed(sim[at])), pa.array(words[at].astype(np.int32)), pa.array(start[at].astype(np.int32)), pa.array(stop[at].astype(np.int32)), *bands],
+                names=names,
             )
 
 
@@ -150,10 +194,10 @@ def _sequence(hashes: np.ndarray, unit: np.ndarray, words: np.ndarray, base: int
     return out
 
 
-def units(docs: DataFrame, min_words: int, with_simhash: bool = False, paragraphs: bool = False, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def units(docs: DataFrame, min_words: int, with_simhash: bool = False, paragraphs: bool = False, doc_id: str = "doc_id", text: str = "text", with_bands: bool = False) -> DataFrame:
     """One row per line (or blank-line separated paragraph) of at least ``min_words`` words; offsets are in code points."""
     source = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"))
-    return source.mapInArrow(lambda batches: unit_rows(batches, with_simhash, paragraphs, min_words), SCHEMA)
+    return source.mapInArrow(lambda batches: unit_rows(batches, with_simhash, paragraphs, min_words, with_bands), SCHEMA + (", bands array<int>, size int" if with_bands else ""))
 
 
 def separator(paragraphs: bool) -> str:
