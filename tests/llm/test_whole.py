@@ -1,8 +1,11 @@
 """Cases in which an operator once did less than its whole job."""
 
+import itertools
 import random
 
-from vecjoin.llm import fuzzy_lines
+import numpy as np
+
+from vecjoin.llm import fuzzy_lines, merge_dropout
 
 
 def test_lines_beyond_two_bits(spark):
@@ -22,3 +25,17 @@ def test_lines_beyond_two_bits(spark):
     out = fuzzy_lines.dedup_lines(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
     gone = [r.doc_id for r in out if r.n_removed]
     assert all(i % 3 for i in gone) and len(gone) >= 0.97 * copies
+
+
+def test_every_occurrence_draws():
+    """A chunk falls apart in as many ways as the dropout allows, within one text too, and as often as the rate says."""
+    v = merge_dropout.pieces(merge_dropout.MODEL)
+    texts = ["understanding " * 400, "understanding " * 399]
+    ids, count = merge_dropout.encode(texts, v, 0.1)
+    assert merge_dropout.decode(ids, count, v) == texts
+    begins = [i for i, p in enumerate(ids.tolist()) if v.flat[v.begin[p]] == 32]
+    forms = {tuple(ids[a:z].tolist()) for a, z in itertools.pairwise(begins)}
+    plain, each = merge_dropout.encode(texts, v, 0.0)
+    assert len(forms) > 8 and 1.05 < len(ids) / len(plain) < 3
+    again = merge_dropout.encode(texts[::-1], v, 0.1)
+    assert again[1].tolist() == count[::-1].tolist() and np.array_equal(again[0], np.concatenate([ids[count[0] :], ids[: count[0]]]))

@@ -3,10 +3,10 @@
 A text gets the dummy space in front, spaces become the space mark, and the merges run inside each chunk of
 leading spaces and other characters (no piece reaches beyond one). Merges go best score first, leftmost on a
 tie. A candidate merge of characters [start, middle) and [middle, end) of a chunk is skipped if its keyed
-hash - of seed, chunk, variant and these three places - is below the dropout rate. The decision doesn't
-depend on when the candidate comes up, so it is the same on any machine and after any retry, and all chunks
-of a batch can be merged side by side, one merge a step. The variant is a number below ``variants`` taken from the keyed
-hash of the text, so texts differ in how the same word falls apart.
+hash - of seed, text, the chunk's number in the text and these three places - is below the dropout rate. The
+decision doesn't depend on when the candidate comes up, so it is the same on any machine and after any retry.
+Every occurrence of a chunk draws anew, in one text as well as in different ones; occurrences of a batch whose
+draws come out alike share the work.
 
 Characters that no piece has, line ends and the space mark itself are spelt in byte pieces, so decoding gives
 every text back, white space included.
@@ -20,6 +20,7 @@ from __future__ import annotations
 import re
 from collections.abc import Iterator
 from functools import lru_cache
+from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
@@ -30,7 +31,7 @@ from .kernels import list_array, mix64, ranges
 from .lines import slices
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
-DROPOUT, SEED, VARIANTS = 0.1, 7, 4
+DROPOUT, SEED = 0.1, 7
 _MARK = "▁"
 _CHUNK = re.compile(r"\n| *[^ \n]+| +")
 _FULL = np.iinfo(np.int32).max
@@ -88,12 +89,9 @@ def pieces(model: str) -> Pieces:
     return Pieces(model)
 
 
-def _chunk_keys(points: np.ndarray, variant: np.ndarray, seed: int) -> np.ndarray:
-    """A keyed hash of each row of characters."""
-    power = np.ones(points.shape[1], np.uint64)
-    power[1:] = np.uint64(0xD1342543DE82EF95)
-    power = np.multiply.accumulate(power)
-    return mix64(mix64((points.astype(np.uint64) * power).sum(axis=1, dtype=np.uint64)) ^ mix64(variant.astype(np.uint64) + np.uint64(seed * 0x9E3779B9 & 0xFFFFFFFFFFFFFFFF)))
+def _text_key(text: str, seed: int) -> int:
+    """A keyed hash of a text."""
+    return int.from_bytes(blake2b(text.encode("utf-8", "surrogatepass"), digest_size=8, key=str(seed).encode()).digest(), "little")
 
 
 def _skipped(key: np.ndarray, start: np.ndarray, middle: np.ndarray, end: np.ndarray, dropout: float) -> np.ndarray:
@@ -103,11 +101,18 @@ def _skipped(key: np.ndarray, start: np.ndarray, middle: np.ndarray, end: np.nda
     return (h >> np.uint64(11)) * (1.0 / (1 << 53)) < dropout
 
 
-def merge_chunks(chunks: list[str], variant: np.ndarray, vocabulary: Pieces, dropout: float, seed: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Piece ids of all chunks, and where each chunk's begin and how many they are."""
+def merge_chunks(chunks: list[str], chunk: np.ndarray, key: np.ndarray, vocabulary: Pieces, dropout: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Pieces of occurrences of distinct ``chunks``: ids of all outcomes, and where each occurrence's begin and how many they are.
+
+    ``chunk`` and ``key`` have the chunk and the own key of each occurrence.
+    """
     size = np.array([len(c) for c in chunks], dtype=np.int64)
-    out: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+    begin, count = np.zeros(len(chunk), np.int64), np.zeros(len(chunk), np.int64)
+    parts: list[np.ndarray] = []
+    used = 0
     order = np.argsort(size, kind="stable")
+    by_chunk = np.argsort(chunk, kind="stable")
+    last = np.cumsum(np.bincount(chunk, minlength=len(chunks)))
     a = 0
     while a < len(order):
         width = int(size[order[a]])
@@ -119,104 +124,133 @@ def merge_chunks(chunks: list[str], variant: np.ndarray, vocabulary: Pieces, dro
         points = np.zeros((len(rows), width), np.int64)
         own = np.frombuffer("".join(chunks[i] for i in rows.tolist()).encode("utf-32-le", "surrogatepass"), np.uint32)
         points[np.repeat(np.arange(len(rows)), size[rows]), ranges(size[rows])] = own
-        _merge_block(points, size[rows], variant[rows], vocabulary, dropout, seed, rows, chunks, out)
-    rows = np.concatenate([np.zeros(0, np.int64), *(o[0] for o in out)])
-    each = np.concatenate([np.zeros(0, np.int64), *(o[1] for o in out)])
-    begin, count = np.zeros(len(chunks), np.int64), np.zeros(len(chunks), np.int64)
-    begin[rows], count[rows] = np.cumsum(each) - each, each
-    return np.concatenate([np.zeros(0, np.int32), *(o[2] for o in out)]), begin, count
-
-
-def _merge_block(points, size, variant, v: Pieces, dropout, seed, rows, chunks, out) -> None:
+        first = np.append(0, last)[rows]
+        each = last[rows] - first
+        occurrence = by_chunk[np.repeat(first, each) + ranges(each)]
+        flat, at, n = _merge_block(points, size[rows], np.repeat(np.arange(len(rows)), each), key[occurrence], vocabulary, dropout, [chunks[i] for i in rows.tolist()])
+        begin[occurrence], count[occurrence] = at + used, n
+        parts.append(flat)
+        used += len(flat)
+    return np.concatenate([np.zeros(0, np.int32), *parts]), begin, count
+
+
+def _merge_block(points, size, row, key, v: Pieces, dropout, chunks) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Ids of the outcomes of some chunks, and for each occurrence (``row``: its chunk) where its outcome begins and how many ids it has.
+
+    Occurrences whose draws have been alike so far stand in one state; each step takes the best candidate of every
+    state, and its occurrences part by their own draws into those that merge it and those that skip it for good.
+    """
     n, width = points.shape
-    key = _chunk_keys(points, variant, seed)
     kinds, back = np.unique(points, return_inverse=True)
     # the space mark as typed is spelt in bytes; a space becomes the mark
     table = np.array([v.char.get(_MARK, -1) if k == 32 else -1 if chr(k) in (_MARK, "\n") else v.char.get(chr(k), -1) for k in kinds.tolist()], dtype=np.int64)
     symbol = table[back.reshape(points.shape)]
     symbol[np.arange(width)[None, :] >= size[:, None]] = -2
     edge = np.broadcast_to(np.arange(width + 1), (n, width + 1)).copy()  # first character of each symbol, and the end
-    live = np.arange(n)
-    done: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
     rank = np.full((n, max(width - 1, 1)), _FULL, np.int64)
     result = np.full(rank.shape, -1, np.int64)
     if width > 1:
         r, m = v.look(symbol[:, :-1].ravel(), symbol[:, 1:].ravel())
-        can = np.flatnonzero(r < _FULL)
-        row, col = can // (width - 1), can % (width - 1)
-        r[can[_skipped(key[row], col, col + 1, col + 2, dropout)]] = _FULL
         rank, result = r.reshape(n, -1).astype(np.int64), m.reshape(n, -1)
-    while len(live):
+    origin = np.arange(n)
+    who, state = np.arange(len(row)), row  # occurrences still going, and their states
+    begin, count = np.zeros(len(row), np.int64), np.zeros(len(row), np.int64)
+    parts: list[np.ndarray] = []
+    used = 0
+    while len(symbol):
         best = np.argmin(rank, axis=1)
-        at = np.arange(len(live))
-        going = rank[at, best] < _FULL
+        going = rank[np.arange(len(best)), best] < _FULL
         if not going.all():
-            done.append((live[~going], symbol[~going], edge[~going]))
-            live, symbol, edge, rank, result, key, best = live[going], symbol[going], edge[going], rank[going], result[going], key[going], best[going]
-            if not len(live):
+            flat, each = _spelt(symbol[~going], edge[~going], origin[~going], v, chunks)
+            at = np.zeros(len(going), np.int64)
+            amount = np.zeros(len(going), np.int64)
+            amount[~going] = each
+            at[~going] = np.cumsum(each) - each + used
+            ended = ~going[state]
+            begin[who[ended]], count[who[ended]] = at[state[ended]], amount[state[ended]]
+            parts.append(flat)
+            used += len(flat)
+            number = np.cumsum(going) - 1
+            who, state = who[~ended], number[state[~ended]]
+            symbol, edge, rank, result, origin, best = symbol[going], edge[going], rank[going], result[going], origin[going], best[going]
+            if not len(symbol):
                 break
-            at = np.arange(len(live))
-        symbol[at, best] = result[at, best]
+        at = np.arange(len(symbol))
+        places = edge[at, best], edge[at, best + 1], edge[at, best + 2]
+        skip = _skipped(key[who], *(p[state] for p in places), dropout)
+        some = np.zeros(2 * len(symbol), bool)
+        some[state + len(symbol) * skip] = True
+        number = np.cumsum(some) - 1
+        state = number[state + len(symbol) * skip]
+        on, off = np.flatnonzero(some[: len(symbol)]), np.flatnonzero(some[len(symbol) :])
+        held = rank[off]
+        held[np.arange(len(off)), best[off]] = _FULL
+        merged = _merged(symbol[on], edge[on], rank[on], result[on], best[on], v)
+        symbol, edge, rank, result = (np.concatenate(x) for x in zip(merged, (symbol[off], edge[off], held, result[off]), strict=True))
+        origin = np.concatenate([origin[on], origin[off]])
         w = symbol.shape[1]
-        move = np.arange(w - 1)[None, :]
-        symbol = np.take_along_axis(symbol, move + (move > best[:, None]), axis=1)
-        moved = np.arange(w)[None, :]
-        edge = np.take_along_axis(edge, moved + (moved > best[:, None]), axis=1)
-        if w - 1 < 2:
-            rank = np.full((len(live), 1), _FULL, np.int64)
-            result = np.full((len(live), 1), -1, np.int64)
-            continue
-        move = np.arange(w - 2)[None, :]
-        shift = np.minimum(move + (move >= best[:, None]), w - 2)
-        rank, result = np.take_along_axis(rank, shift, axis=1), np.take_along_axis(result, shift, axis=1)
-        for side in (best - 1, best):
-            ok = (side >= 0) & (side < w - 2)
-            row, col = at[ok], side[ok]
-            r, m = v.look(symbol[row, col], symbol[row, col + 1])
-            r = np.where(_skipped(key[row], edge[row, col], edge[row, col + 1], edge[row, col + 2], dropout), _FULL, r)
-            rank[row, col], result[row, col] = r, m
-    for live, symbol, edge in done:
-        count = (symbol != -2).sum(axis=1)
-        # symbols outside the vocabulary are spelt in bytes
-        plain = ((symbol == -1) | (symbol >= len(v.size))).any(axis=1)
-        for i in np.flatnonzero(plain).tolist():
-            text, ids = chunks[rows[live[i]]], []
-            for j in range(count[i]):
-                s = int(symbol[i, j])
-                ids.extend([s] if 0 <= s < len(v.size) else v.byte_id[list(text[edge[i, j]].encode("utf-8", "surrogatepass"))].tolist())
-            out.append((rows[live[i : i + 1]], np.array([len(ids)]), np.array(ids, dtype=np.int32)))
-        clean = np.flatnonzero(~plain)
-        out.append((rows[live[clean]], count[clean], symbol[clean][symbol[clean] != -2].astype(np.int32)))
-
-
-def encode(texts: list[str | None], vocabulary: Pieces, dropout: float = DROPOUT, seed: int = SEED, variants: int = VARIANTS) -> tuple[np.ndarray, np.ndarray]:
+        if w > 2 and (symbol[:, -1] == -2).all():
+            symbol, edge, rank, result = symbol[:, :-1], edge[:, :-1], rank[:, :-1], result[:, :-1]
+    return np.concatenate([np.zeros(0, np.int32), *parts]), begin, count
+
+
+def _merged(symbol, edge, rank, result, best, v: Pieces) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """States after the merge at ``best``, as wide as before."""
+    at, w = np.arange(len(symbol)), symbol.shape[1]
+    symbol = symbol.copy()
+    symbol[at, best] = result[at, best]
+    fill = lambda x, value: np.concatenate([x, np.full((len(x), 1), value, x.dtype)], axis=1)
+    move = np.arange(w - 1)[None, :]
+    symbol = fill(np.take_along_axis(symbol, move + (move > best[:, None]), axis=1), -2)
+    move = np.arange(w)[None, :]
+    edge = np.take_along_axis(edge, move + (move > best[:, None]), axis=1)
+    edge = np.concatenate([edge, edge[:, -1:]], axis=1)
+    move = np.arange(w - 2)[None, :]
+    shift = move + (move >= best[:, None])
+    rank, result = fill(np.take_along_axis(rank, shift, axis=1), _FULL), fill(np.take_along_axis(result, shift, axis=1), -1)
+    for side in (best - 1, best):
+        ok = (side >= 0) & (side < w - 1)
+        row, col = at[ok], side[ok]
+        rank[row, col], result[row, col] = v.look(symbol[row, col], symbol[row, col + 1])
+    return symbol, edge, rank, result
+
+
+def _spelt(symbol, edge, origin, v: Pieces, chunks) -> tuple[np.ndarray, np.ndarray]:
+    """Ids of finished states one after the other, and how many each has; symbols outside the vocabulary are spelt in bytes."""
+    held = symbol != -2
+    each = held.sum(axis=1)
+    plain = np.flatnonzero((held & ((symbol == -1) | (symbol >= len(v.size)))).any(axis=1))
+    if not len(plain):
+        return symbol[held].astype(np.int32), each
+    own = np.split(symbol[held], np.cumsum(each)[:-1])
+    for i in plain.tolist():
+        text, ids = chunks[origin[i]], []
+        for j, s in enumerate(own[i].tolist()):
+            ids.extend([s] if 0 <= s < len(v.size) else v.byte_id[list(text[edge[i, j]].encode("utf-8", "surrogatepass"))].tolist())
+        own[i] = np.array(ids)
+    return np.concatenate(own).astype(np.int32), np.array([len(x) for x in own])
+
+
+def encode(texts: list[str | None], vocabulary: Pieces, dropout: float = DROPOUT, seed: int = SEED) -> tuple[np.ndarray, np.ndarray]:
     """Piece ids of all texts, one after the other, and how many each has."""
-    number: dict[tuple[str, int], int] = {}
+    number: dict[str, int] = {}
     index: list[int] = []
-    per_text = np.zeros(len(texts), np.int64)
+    per_text, own = np.zeros(len(texts), np.int64), np.zeros(len(texts), np.uint64)
     for i, t in enumerate(texts):
         if not t:
             continue
-        kind = _variant(t, seed, variants)
         before = len(index)
-        index.extend([number.setdefault((c, kind), len(number)) for c in _CHUNK.findall(" " + t)])
-        per_text[i] = len(index) - before
+        index.extend([number.setdefault(c, len(number)) for c in _CHUNK.findall(" " + t)])
+        per_text[i], own[i] = len(index) - before, _text_key(t, seed)
     if not index:
         return np.zeros(0, np.int32), per_text
-    chunk = np.array(index)
-    flat, begin, count = merge_chunks([c for c, _ in number], np.array([k for _, k in number]), vocabulary, dropout, seed)
-    each = count[chunk]
-    ids = flat[np.repeat(begin[chunk], each) + ranges(each)]
+    key = mix64(np.repeat(own, per_text) ^ mix64(ranges(per_text).astype(np.uint64)))
+    flat, begin, each = merge_chunks(list(number), np.array(index), key, vocabulary, dropout)
+    ids = flat[np.repeat(begin, each) + ranges(each)]
     total = np.bincount(np.repeat(np.arange(len(texts)), per_text), weights=each, minlength=len(texts)).astype(np.int64)
     return ids, total
 
 
-def _variant(text: str, seed: int, variants: int) -> int:
-    import zlib
-
-    return zlib.crc32(text.encode("utf-8", "surrogatepass"), seed) % variants if variants > 1 else 0
-
-
 def decode(ids: np.ndarray, count: np.ndarray, vocabulary: Pieces) -> list[str]:
     """Texts of runs of piece ids, some hundred thousand pieces at a time."""
     ends = np.cumsum(count)
@@ -234,7 +268,7 @@ def decode(ids: np.ndarray, count: np.ndarray, vocabulary: Pieces) -> list[str]:
     return out
 
 
-def encode_docs(docs: DataFrame, dropout: float = DROPOUT, seed: int = SEED, variants: int = VARIANTS, model: str = MODEL, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def encode_docs(docs: DataFrame, dropout: float = DROPOUT, seed: int = SEED, model: str = MODEL, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, ids (array; null where the text is), n_pieces, lossless (the pieces decode to the very text)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -242,7 +276,7 @@ def encode_docs(docs: DataFrame, dropout: float = DROPOUT, seed: int = SEED, var
         for whole in batches:
             for batch in slices(whole, 1, 5 << 20):
                 texts = batch.column(1).to_pylist()
-                ids, count = encode(texts, vocabulary, dropout, seed, variants)
+                ids, count = encode(texts, vocabulary, dropout, seed)
                 back = decode(ids, count, vocabulary)
                 same = [(t or "") == b for t, b in zip(texts, back, strict=True)]
                 lists = list_array(pa.array(ids.astype(np.int32)), count)
