@@ -5,7 +5,7 @@ import random
 
 import numpy as np
 
-from vecjoin.llm import fuzzy_lines, merge_dropout
+from vecjoin.llm import benchmark_winnowing, fuzzy_lines, merge_dropout
 
 
 def test_lines_beyond_two_bits(spark):
@@ -39,3 +39,13 @@ def test_every_occurrence_draws():
     assert len(forms) > 8 and 1.05 < len(ids) / len(plain) < 3
     again = merge_dropout.encode(texts[::-1], v, 0.1)
     assert again[1].tolist() == count[::-1].tolist() and np.array_equal(again[0], np.concatenate([ids[count[0] :], ids[: count[0]]]))
+
+
+def test_item_without_id(spark):
+    """An item with a null id contaminates; only its id is missing from the list."""
+    text = "alpha beta gamma delta epsilon zeta eta theta iota kappa lambda"
+    docs = spark.createDataFrame([(1, f"so {text} ends"), (2, "nothing of it here at all")], "doc_id long, text string")
+    bench = spark.createDataFrame([(None, text)], "item_id string, text string")
+    got = {r.doc_id: (r.n_hit, r.n_items, r.contaminated) for r in benchmark_winnowing.decontaminate(docs, bench).collect()}
+    assert got == {1: (11, 0, True), 2: (0, 0, False)}
+    assert [r.doc_id for r in benchmark_winnowing.drop_contaminated(docs, bench).collect()] == [2]

@@ -6,7 +6,7 @@ span of that many words that a document shares with an item shares a fingerprint
 documents are looked up among those of the items, and each hit is extended word by word in both directions.
 
 Rows: null or word-less text has no words and no hits; repeated rows and repeated item ids are judged
-row by row (an item id counts once); an empty benchmark contaminates nothing; other columns are ignored.
+row by row (an item id counts once); an item with a null id counts in the hits but has no id to name; an empty benchmark contaminates nothing; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -50,7 +50,7 @@ def winnow(gram: np.ndarray, starts: np.ndarray, count: np.ndarray, w: int) -> n
 class _Items:
     """Fingerprints and words of a block of items."""
 
-    def __init__(self, ids: list[str], texts: list[str], window: int, k: int):
+    def __init__(self, ids: list[str | None], texts: list[str], window: int, k: int):
         self.ids, self.window, self.k = ids, window, k
         self.words, self.ptr = words_of(pa.array(texts, pa.large_string()))
         size = np.diff(self.ptr)
@@ -92,7 +92,8 @@ class _Items:
                     if last - first >= min(self.window, int(self.ptr[item + 1] - self.ptr[item])):
                         spans, items = out.setdefault(doc, ([], set()))
                         spans.append((first - int(ptr[doc]), last - int(ptr[doc])))
-                        items.add(self.ids[item])
+                        if self.ids[item] is not None:
+                            items.add(self.ids[item])
         return out
 
     def _extend(self, words, p, p0, p1, q, q0, q1, length) -> tuple[int, int]:
@@ -107,9 +108,9 @@ class _Items:
         return first, p + (int(differ[0]) if len(differ) else ahead)
 
 
-def _blocks(benchmark: DataFrame, block_bytes: int) -> Iterator[tuple[list[str], list[str]]]:
+def _blocks(benchmark: DataFrame, block_bytes: int) -> Iterator[tuple[list[str | None], list[str]]]:
     """Ids and texts of the items, about ``block_bytes`` at a time."""
-    items = benchmark.select(F.col("item_id").cast("string").alias("item"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).where("item is not null")
+    items = benchmark.select(F.col("item_id").cast("string").alias("item"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     total = items.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)).cast("long")).first()[0]
     blocks = max(1, -(-int(total) // block_bytes))
     for b in range(blocks):
