@@ -5,6 +5,8 @@ import random
 
 import numpy as np
 
+from pyspark.sql import functions as F
+
 from vecjoin.llm import benchmark_winnowing, fuzzy_lines, merge_dropout
 
 
@@ -49,3 +51,14 @@ def test_item_without_id(spark):
     got = {r.doc_id: (r.n_hit, r.n_items, r.contaminated) for r in benchmark_winnowing.decontaminate(docs, bench).collect()}
     assert got == {1: (11, 0, True), 2: (0, 0, False)}
     assert [r.doc_id for r in benchmark_winnowing.drop_contaminated(docs, bench).collect()] == [2]
+
+
+def test_rows_across_blocks(spark):
+    """Rows with equal or no doc_id stay apart when the benchmark goes in several blocks."""
+    item = ["alpha beta gamma delta epsilon zeta eta theta iota kappa", "one two three four five six seven eight nine ten"]
+    clean = "this text has ten words and none are known items"
+    docs = spark.createDataFrame([(1, item[0]), (1, clean), (None, item[1]), (None, clean), (2, " ".join(item))], "doc_id long, text string")
+    bench = spark.createDataFrame([(f"b{i}", t) for i, t in enumerate([*item, *(f"{clean} {i}x" * 3 for i in range(6))])], "item_id string, text string").where(F.col("item_id").isin("b0", "b1") | F.col("text").contains("5x"))
+    want = sorted(map(tuple, benchmark_winnowing.decontaminate(docs, bench).select("doc_id", "n_words", "n_hit", "n_items").collect()), key=str)
+    got = sorted(map(tuple, benchmark_winnowing.decontaminate(docs, bench, block_bytes=8).select("doc_id", "n_words", "n_hit", "n_items").collect()), key=str)
+    assert got == want and len(got) == 5

@@ -142,28 +142,30 @@ def find_hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW_WORDS,
     if not 1 <= k <= window:
         raise ValueError("k lies between 1 and the window")
     source = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"))
-    parts = []
-    for ids, texts in _blocks(benchmark, block_bytes):
+    blocks = list(_blocks(benchmark, block_bytes))
+    out = source
+    for turn, (ids, texts) in enumerate(blocks):
+        # the text goes along with its row, and what earlier blocks hit, until the last block
+        names = [*(["text"] if turn < len(blocks) - 1 else []), "doc_id", "n_words", "spans", "items"]
 
-        def scan(batches: Iterator[pa.RecordBatch], ids=ids, texts=texts) -> Iterator[pa.RecordBatch]:
+        def scan(batches: Iterator[pa.RecordBatch], ids=ids, texts=texts, turn=turn, names=names) -> Iterator[pa.RecordBatch]:
             known = _Items(ids, texts, window, k)
             for batch in batches:
-                words, ptr = words_of(batch.column(1))
+                words, ptr = words_of(batch.column("text"))
                 hits = known.hits(words, ptr)
-                spans = [hits[i][0] if i in hits else () for i in range(batch.num_rows)]
+                spans = [hits[i][0] if i in hits else [] for i in range(batch.num_rows)]
+                found = [hits[i][1] if i in hits else set() for i in range(batch.num_rows)]
+                if turn:
+                    spans = [[(s["first"], s["last"]) for s in x] + y for x, y in zip(batch.column("spans").to_pylist(), spans, strict=True)]
+                    found = [y.union(x) for x, y in zip(batch.column("items").to_pylist(), found, strict=True)]
                 flat = [s for x in spans for s in x]
                 struct = pa.StructArray.from_arrays([pa.array([s[0] for s in flat], pa.int32()), pa.array([s[1] for s in flat], pa.int32())], names=["first", "last"])
-                found = pa.array([sorted(hits[i][1]) if i in hits else [] for i in range(batch.num_rows)], pa.list_(pa.string()))
-                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.diff(ptr), pa.int64()), list_array(struct, np.array([len(x) for x in spans], dtype=np.int64)), found], names=["doc_id", "n_words", "spans", "items"])
-
-        parts.append(source.mapInArrow(scan, HITS))
-    if len(parts) == 1:
-        return parts[0]
-    both = parts[0]
-    for p in parts[1:]:
-        both = both.union(p)
-    # a repeated doc_id keeps its rows apart only within one block; beyond that equal ids share their hits
-    return both.groupBy("doc_id", "n_words").agg(F.flatten(F.collect_list("spans")).alias("spans"), F.array_distinct(F.flatten(F.collect_list("items"))).alias("items"))
+                lists = list_array(struct, np.array([len(x) for x in spans], dtype=np.int64))
+                made = {"text": batch.column("text"), "doc_id": batch.column("doc_id"), "n_words": pa.array(np.diff(ptr), pa.int64()), "spans": lists, "items": pa.array([sorted(x) for x in found], pa.list_(pa.string()))}
+                yield pa.RecordBatch.from_arrays([made[n] for n in names], names=names)
+
+        out = out.mapInArrow(scan, ("text string, " if "text" in names else "") + HITS)
+    return out
 
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
