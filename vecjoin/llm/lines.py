@@ -6,19 +6,20 @@ non-ASCII characters parted off), so spacing, case and punctuation make no diffe
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .kernels import list_array, mix64, ranges, signed, string_buffer, tokenize
+from .kernels import grams, list_array, mix64, ranges, signed, string_buffer, tokenize
 
-SCHEMA = "doc_id long, unit_no int, h1 long, h2 long, simhash long, n_words int, first int, last int"
+SCHEMA = "doc_id long, t long, unit_no int, h1 long, h2 long, simhash long, n_words int, first int, last int"
 SLICE_BYTES = 4 << 20
-BANDS = 12
-_TURN = mix64(np.arange(1, 2 * BANDS + 1, dtype=np.uint64))
+BANDS = 5
+_TURN = mix64(np.arange(1, BANDS + 1, dtype=np.uint64))
 _ODD = mix64(_TURN) | np.uint64(1)
 
 
@@ -51,34 +52,26 @@ def simhashes(hashes: np.ndarray, unit: np.ndarray, n: int) -> np.ndarray:
 
 
 def band_keys(hashes: np.ndarray, width: np.ndarray, unit: np.ndarray, n: int) -> np.ndarray:
-    """``BANDS`` 32-bit keys for each of ``n`` units, each of the two word pairs that come first in two random orders.
+    """``BANDS`` 32-bit keys for each of ``n`` units, each of the word triple that comes first in a random order.
 
-    The ends of a unit count as words, so w words have w + 1 pairs. A pair weighs its bytes, as short
-    pairs are the common ones; two units agree in a key with the square of the share of the weight that they have in common.
+    The ends of a unit count as words, so w words have w triples. A triple weighs its bytes, as short ones are the
+    common ones; two units agree in a key with about the share of the weight that they have in common.
     """
     out = np.zeros((n, BANDS), np.int32)
     if not len(hashes):
         return out
-    new = np.append(True, unit[1:] != unit[:-1])
-    head = np.flatnonzero(new)
-    before = np.append(np.uint64(0), hashes[:-1])
-    before[head] = 0
-    # each word with the one before it, and after the last word of a unit its end
+    head = np.flatnonzero(np.append(True, unit[1:] != unit[:-1]))
     size = np.diff(np.append(head, len(hashes)))
-    begin = head + np.arange(len(head))
-    pair = np.empty(len(hashes) + len(head), np.uint64)
-    pair[np.arange(len(hashes)) + np.cumsum(new) - 1] = mix64(before * np.uint64(0xD6E8FEB86659FD93) + hashes)
-    pair[begin + size] = mix64(hashes[head + size - 1] * np.uint64(0xD6E8FEB86659FD93))
-    weight = np.empty(len(pair))
-    weight[np.arange(len(hashes)) + np.cumsum(new) - 1] = np.where(new, 0, np.append(0, width[:-1])) + width
-    weight[begin + size] = width[head + size - 1]
-    weight = 1 / weight
+    # each unit between two ends
+    place = np.arange(len(hashes)) + 2 * np.repeat(np.arange(len(head)), size) + 1
+    word, weight = np.zeros(len(hashes) + 2 * len(head), np.uint64), np.ones(len(hashes) + 2 * len(head))
+    word[place], weight[place] = hashes, width
+    triple = grams(word, 3)[place - 1]
+    weight = 1 / (weight[:-2] + weight[1:-1] + weight[2:])[place - 1]
     chosen = unit[head]
     for band in range(BANDS):
-        key = np.zeros(len(head), np.uint64)
-        for turn in (2 * band, 2 * band + 1):
-            key = mix64(key + np.minimum.reduceat(((pair ^ _TURN[turn]) * _ODD[turn]) * weight, begin).view(np.uint64))
-        out[chosen, band] = (key >> np.uint64(32)).astype(np.uint32).view(np.int32)
+        least = np.minimum.reduceat(mix64((triple ^ _TURN[band]) * _ODD[band]) * weight, head)
+        out[chosen, band] = (mix64(least.view(np.uint64)) >> np.uint64(32)).astype(np.uint32).view(np.int32)
     return out
 
 
@@ -151,7 +144,7 @@ def unit_rows(batches: Iterator[pa.RecordBatch], with_simhash: bool, paragraphs:
             start = first - base - (np.searchsorted(follow, first) - skip)
             stop = last - base - (np.searchsorted(follow, last) - skip)
             at = np.flatnonzero(big)
-            names = ["doc_id", "unit_no", "h1", "h2", "simhash", "n_words", "first", "last"]
+            names = ["doc_id", "t", "unit_no", "h1", "h2", "simhash", "n_words", "first", "last"]
             bands = []
             if with_bands:
                 chosen = big[unit]
@@ -161,7 +154,7 @@ def unit_rows(batches: Iterator[pa.RecordBatch], with_simhash: bool, paragraphs:
                 bands = [list_array(pa.array(keys.reshape(-1)), np.full(len(at), BANDS)), pa.array(size[at].astype(np.int32))]
                 names = [*names, "bands", "size"]
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0).take(pa.array(text[at])), pa.array(number[at].astype(np.int32)), pa.array(signed(h1[at])), pa.array(signed(h2[at])), pa.array(signed(sim[at])), pa.array(words[at].astype(np.int32)), pa.array(start[at].astype(np.int32)), pa.array(stop[at].astype(np.int32)), *bands],
+                [batch.column(0).take(pa.array(text[at])), batch.column(2).take(pa.array(text[at])), pa.array(number[at].astype(np.int32)), pa.array(signed(h1[at])), pa.array(signed(h2[at])), pa.array(signed(sim[at])), pa.array(words[at].astype(np.int32)), pa.array(start[at].astype(np.int32)), pa.array(stop[at].astype(np.int32)), *bands],
                 names=names,
             )
 
@@ -196,7 +189,7 @@ def _sequence(hashes: np.ndarray, unit: np.ndarray, words: np.ndarray, base: int
 
 def units(docs: DataFrame, min_words: int, with_simhash: bool = False, paragraphs: bool = False, doc_id: str = "doc_id", text: str = "text", with_bands: bool = False) -> DataFrame:
     """One row per line (or blank-line separated paragraph) of at least ``min_words`` words; offsets are in code points."""
-    source = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"))
+    source = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"), text_digest(text).alias("t"))
     return source.mapInArrow(lambda batches: unit_rows(batches, with_simhash, paragraphs, min_words, with_bands), SCHEMA + (", bands array<int>, size int" if with_bands else ""))
 
 
@@ -210,14 +203,42 @@ def normal(unit: Column) -> Column:
     return F.trim(F.regexp_replace(F.translate(unit, upper, upper.lower()), "[\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+", " "))
 
 
-def without(docs: DataFrame, removed: DataFrame, paragraphs: bool = False, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """``docs`` with their ``removed`` units (doc_id, unit_no, first, last) gone.
+def text_digest(text: str) -> Column:
+    """By which rows that share a doc_id are told apart."""
+    return F.xxhash64(F.col(text).cast("string"))
+
 
-    Adds n_removed and removed (first and last code point of each unit as they were); text is null only where it was.
+def removed_at(docs: DataFrame, gone: DataFrame, rest: Callable[..., Column], doc_id: str, text: str) -> DataFrame:
+    """``docs`` with what ``rest`` leaves of each text that has a row in ``gone`` (doc_id, t, gone: what ``rest`` takes).
+
+    Adds n_removed and removed (first and last code point of each span as they were); text is null only where it was.
     """
-    gone = removed.groupBy(F.col("doc_id").alias("__unit_doc")).agg(F.array_sort(F.collect_set(F.struct("unit_no", "first", "last"))).alias("__unit_gone"))
-    out = docs.join(gone, docs[doc_id].cast("long").eqNullSafe(gone["__unit_doc"]), "left")
-    none = F.expr("cast(array() as array<struct<unit_no:int,first:int,last:int>>)")
+    gone = gone.select(F.col("doc_id").alias("__gone_doc"), F.col("t").alias("__gone_t"), F.col("gone").alias("__gone"))
+    out = docs.join(gone, docs[doc_id].cast("long").eqNullSafe(gone["__gone_doc"]) & (text_digest(text) == gone["__gone_t"]), "left")
+    # only the texts that lose something go through Python
+    out = out.withColumn("__rest", rest(F.when(F.col("__gone").isNotNull(), F.col(text).cast("string")), F.col("__gone")))
+    spans = F.transform(F.sequence(F.lit(0), F.size("__rest.spans") - 2, F.lit(2)), lambda i: F.struct(F.get("__rest.spans", i).alias("first"), F.get("__rest.spans", i + 1).alias("last")))
+    none = F.expr("cast(array() as array<struct<first:int,last:int>>)")
+    touched = F.coalesce(F.size("__rest.spans") > 0, F.lit(False))
+    out = out.withColumns({text: F.when(touched, F.col("__rest.text")).otherwise(F.col(text)), "removed": F.when(touched, spans).otherwise(none)})
+    return out.withColumn("n_removed", F.size("removed").cast("long")).drop("__gone_doc", "__gone_t", "__gone", "__rest")
+
+
+def without(docs: DataFrame, removed: DataFrame, paragraphs: bool = False, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """``docs`` with their ``removed`` units (doc_id, t, unit_no, first, last) gone; see ``removed_at``."""
     sep = separator(paragraphs)
-    kept = F.array_join(F.filter(F.split(text, sep), lambda x, i: ~F.array_contains(F.transform("__unit_gone", lambda g: g["unit_no"]), i)), sep)
-    return out.withColumns({text: F.when(F.col("__unit_gone").isNull(), F.col(text)).otherwise(kept), "n_removed": F.coalesce(F.size("__unit_gone"), F.lit(0)).cast("long"), "removed": F.transform(F.coalesce("__unit_gone", none), lambda g: F.struct(g["first"].alias("first"), g["last"].alias("last")))}).drop("__unit_doc", "__unit_gone")
+
+    @F.pandas_udf("struct<text:string,spans:array<int>>")
+    def rest(texts: pd.Series, units: pd.Series) -> pd.DataFrame:
+        done = []
+        for t, u in zip(texts, units, strict=True):
+            if u is None:
+                done.append((t, []))
+                continue
+            flat = sorted({(x["unit_no"], x["first"], x["last"]) for x in u})
+            numbers = {x[0] for x in flat}
+            done.append((sep.join(p for i, p in enumerate(t.split(sep)) if i not in numbers), [x for _, a, z in flat for x in (a, z)]))
+        return pd.DataFrame(done, columns=["text", "spans"])
+
+    gone = removed.groupBy("doc_id", "t").agg(F.collect_list(F.struct("unit_no", "first", "last")).alias("gone"))
+    return removed_at(docs, gone, rest, doc_id, text)

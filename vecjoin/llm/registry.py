@@ -28,7 +28,7 @@ def op4_minhash_near_dedup(spark: SparkSession, d: str) -> DataFrame:
 
 
 def op5_substring_dedup(spark: SparkSession, d: str) -> DataFrame:
-    out = unit_dedup.dedup_units(read(spark, d, "documents", "doc_id", "text"))
+    out = unit_dedup.dedup_passages(read(spark, d, "documents", "doc_id", "text"))
     spans = F.array_join(F.transform("removed", lambda s: F.concat_ws("-", s["first"].cast("string"), s["last"].cast("string"))), ",")
     return out.select("doc_id", "n_removed", spans.alias("removed"), "text")
 
@@ -70,22 +70,43 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 _WORDS = r"regexp_extract_all(translate(coalesce({}, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
 
-_OP5 = f"""
-WITH parts AS (
-  SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS lines FROM documents
-), l AS (
-  SELECT doc_id, unnest(lines) AS line, unnest(range(len(lines))) AS no FROM parts
-), placed AS (
-  SELECT doc_id, no, line, length(line) AS n, coalesce(sum(length(line) + 1) OVER (PARTITION BY doc_id ORDER BY no ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS first, {_WORDS.format("line")} AS words FROM l
+_PARTS = r"\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F"
+_SIZE = unit_dedup.SPAN - unit_dedup.WINDOW + 1
+
+_OP5 = rf"""
+WITH texts AS (
+  SELECT doc_id, regexp_extract(coalesce(text, ''), '^[{_PARTS}]*') AS lead, regexp_extract_all(coalesce(text, ''), '[^{_PARTS}]+[{_PARTS}]*') AS parts FROM documents
+), w AS (
+  SELECT doc_id, unnest(parts) AS part, unnest(range(len(parts))) AS no, len(parts) AS n, length(lead) AS skip FROM texts
+), named AS (
+  SELECT *, translate(regexp_extract(part, '[^{_PARTS}]+'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS word FROM w
 ), ranked AS (
-  SELECT *, row_number() OVER (PARTITION BY array_to_string(words, ' ') ORDER BY doc_id, no) AS nth FROM placed
+  SELECT *, substr(md5(word), 1, 16) AS rank, skip + coalesce(sum(length(part)) OVER (PARTITION BY doc_id ORDER BY no ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS first FROM named
+), least_ones AS (
+  SELECT doc_id, n, no, min(rank || lpad(CAST(99999999 - no AS VARCHAR), 8, '0')) OVER (PARTITION BY doc_id ORDER BY no ROWS BETWEEN CURRENT ROW AND {unit_dedup.WINDOW - 1} FOLLOWING) AS best FROM ranked
+), cuts AS (
+  SELECT doc_id, n, 99999999 - CAST(right(best, 8) AS BIGINT) AS a FROM least_ones WHERE no + {unit_dedup.WINDOW} <= n
+  UNION SELECT doc_id, n, 0 FROM w WHERE n >= {_SIZE} UNION SELECT doc_id, n, n - {_SIZE} FROM w WHERE n >= {_SIZE}
+), lists AS (
+  SELECT doc_id, list(word ORDER BY no) AS words FROM named GROUP BY doc_id
+), stretches AS (
+  SELECT doc_id, a, md5(array_to_string(words[a + 1 : a + {_SIZE}], ' ')) AS digest FROM cuts JOIN lists USING (doc_id) WHERE a + {_SIZE} <= n
+), placed AS (
+  SELECT *, min(ROW(doc_id, a)) OVER (PARTITION BY digest) AS kept FROM stretches
+), gone AS (
+  SELECT DISTINCT doc_id, unnest(range(a, a + {_SIZE})) AS no FROM placed WHERE kept[1] <> doc_id OR a - kept[2] >= {_SIZE}
 ), judged AS (
-  SELECT *, len(words) >= {unit_dedup.MIN_WORDS} AND nth > 1 AS gone FROM ranked
+  SELECT r.*, g.no IS NOT NULL AS gone FROM ranked r LEFT JOIN gone g USING (doc_id, no)
+), runs AS (
+  SELECT doc_id, CAST(min(first) AS BIGINT) AS a, CAST(max(first + length(part)) AS BIGINT) AS z
+  FROM (SELECT *, no - row_number() OVER (PARTITION BY doc_id ORDER BY no) AS run FROM judged WHERE gone) GROUP BY doc_id, run
+), spans AS (
+  SELECT doc_id, count(*) AS n_removed, string_agg(a || '-' || z, ',' ORDER BY a) AS removed FROM runs GROUP BY doc_id
+), kept AS (
+  SELECT doc_id, string_agg(part, '' ORDER BY no) FILTER (NOT gone) AS rest FROM judged GROUP BY doc_id
 )
-SELECT doc_id, count(*) FILTER (gone) AS n_removed,
-  coalesce(string_agg(CAST(first AS BIGINT) || '-' || CAST(first + n AS BIGINT), ',' ORDER BY no) FILTER (gone), '') AS removed,
-  coalesce(string_agg(line, chr(10) ORDER BY no) FILTER (NOT gone), '') AS text
-FROM judged GROUP BY doc_id
+SELECT t.doc_id, coalesce(n_removed, 0) AS n_removed, coalesce(removed, '') AS removed, lead || coalesce(rest, '') AS text
+FROM texts t LEFT JOIN spans USING (doc_id) LEFT JOIN kept USING (doc_id)
 """
 
 _OP8 = f"""
