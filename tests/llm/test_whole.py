@@ -9,7 +9,7 @@ import duckdb
 import numpy as np
 from pyspark.sql import functions as F
 
-from vecjoin.llm import benchmark_winnowing, fuzzy_lines, merge_dropout, unit_dedup
+from vecjoin.llm import benchmark_winnowing, fuzzy_lines, line_blocks, merge_dropout, unit_dedup
 
 
 def test_lines_beyond_two_bits(spark):
@@ -159,3 +159,29 @@ def test_recall_of_single_edits(spark):
         gone = {r.doc_id for r in fuzzy_lines.dedup_lines(spark.createDataFrame(pairs, "doc_id long, text string")).where("n_removed > 0").collect()}
         asked = [i for i, _ in pairs if i % 2]
         assert sum(i in gone or i - 1 in gone for i in asked) >= 0.9 * len(asked), kind
+
+
+def test_line_blocks_brute():
+    """Stretches are runs of lines with text, with gaps shorter than the window, of which some window reaches the threshold."""
+    rng = random.Random(4)
+    for _ in range(300):
+        sizes = [rng.choice([0, 0, 0, rng.randint(1, 120)]) for _ in range(rng.randint(0, 60))]
+        window, threshold = rng.randint(1, 5), rng.choice([1, 86, 200])
+        sums = [sum(sizes[i : i + window]) for i in range(len(sizes))]
+        runs = []
+        for i in (i for i, s in enumerate(sizes) if s):
+            if runs and i - runs[-1][-1] <= window:
+                runs[-1].append(i)
+            else:
+                runs.append([i])
+        least = min(threshold, max(sums, default=0) / 2)
+        want = [(r[0], r[-1] + 1) for r in runs if max(sums[r[0] : r[-1] + 1]) >= least]
+        assert line_blocks.stretches(sizes, window, threshold) == want
+
+
+def test_names_that_mention_furniture():
+    long = "Long enough sentences make a paragraph of this page and nothing else does. " * 3
+    page = f"<body class='has-sidebar'><div class='site-header'>top</div><div class='page has-sidebar'><p>{long}</p></div><div id=cookie_notice>We use cookies, as do others, and we say so in many words on every page.</div>"
+    assert line_blocks.main_text(page) == long.strip()
+    page = f"<article><header><h1>Head</h1></header><div class='entry-header'><h2>Title</h2></div><section class='related-work'><p>{long}</p></section><ul><li><a href=x>one</a><li><a>two</a><li><a>three</a></ul></article><p>{long}"
+    assert line_blocks.main_text(page) == f"Head\n\nTitle\n\n{long.strip()}"

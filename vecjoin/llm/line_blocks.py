@@ -1,14 +1,20 @@
 """Main text of HTML pages by line-block distribution.
 
 Markup is taken off so that every block-level tag ends a line; comments, scripts, styles, forms and the
-elements that are furniture by tag or by class, id or role leave empty lines. The text lengths of ``window``
-lines from each line on are summed (text inside links counts nothing); where that sum rises over the
-threshold (surge) a stretch begins, where it falls to zero (dive) it ends, and the text between is kept.
-Inside an ``article`` or ``main`` element any text is a surge and nothing outside counts; elsewhere the threshold
-is 86 characters, or half of the page's largest sum if that is less.
+elements that are furniture by tag or by class, id or role leave empty lines. The lengths of text outside links are summed
+over ``window`` lines from each line on; where that sum reaches the threshold (surge) a stretch begins, where it falls to
+zero (dive) it ends, and the text between its first and its last line with text outside links is kept, link lines in
+between included. Lists of links are dives of their own, wherever they stand. The threshold is 86 characters, or half of the page's
+largest sum if that is less; on a page with an ``article`` or ``main`` element only lines in there count and any text is
+a surge, so that short paragraphs and a heading between notices aren't lost.
+
+A class, id or role marks furniture if all parts of one of its names are furniture words or say a place (``site-header``,
+``cookie_notice``, ``sidebar-left``); names that only mention such a word (``has-sidebar``, ``entry-header``, ``related-work``) don't. A
+``header`` element inside an article is its heading and stays.
 
 Rows: null or empty html gives an empty text; unclosed and stray tags are tolerated (an ``article`` ends any open
-furniture); rows are independent.
+furniture); repeated rows are treated alike, each on its own; long pages go one by one; other columns of ``extract`` pass
+through, but for those named text and n_chars, which it replaces.
 """
 
 from __future__ import annotations
@@ -33,17 +39,22 @@ _WORDS = set(
     "ad ads advert adverts advertisement adsense sponsor sponsored promo promotion banner cookie cookies consent gdpr notice notices alert comment comments disqus respond replies sidebar sidebars nav navbar navigation menu breadcrumb "
     "breadcrumbs header masthead footer share sharing social related recommended newsletter subscribe signup popup modal overlay widget toolbar pagination pager complementary contentinfo search login".split()
 )
+#: Parts of names that say where something stands; they don't make furniture by themselves.
+_PLACES = set("site page global main top bottom left right upper lower box area block wrapper container inner outer bar list links section item items col column primary secondary js".split())
 _SPACE = re.compile(r"\s+")
+_PARTS = re.compile(r"[^a-z]+")
 
 
-def _is_furniture(name: str, attributes: str) -> bool:
+def _is_furniture(name: str, attributes: str, in_article: bool) -> bool:
     if name in _FURNITURE:
-        return True
+        return not (in_article and name == "header")
     if name in ("html", "body", "article", "main") or not attributes:
         return False
     for m in _NAMES.finditer(attributes):
-        if not _WORDS.isdisjoint(re.split(r"[^a-z]+", (m[1] or m[2] or m[3] or "").lower())):
-            return True
+        for said in (m[1] or m[2] or m[3] or "").lower().split():
+            parts = {x for x in _PARTS.split(said) if x}
+            if parts & _WORDS and parts <= _WORDS | _PLACES:
+                return True
     return False
 
 
@@ -105,10 +116,10 @@ def lines_of(page: str, window: int = WINDOW) -> tuple[list[str], list[int], lis
             if closing and name in skip:
                 while skip.pop() != name:
                     pass
-            elif not closing and name not in _VOID and not m[3].rstrip().endswith("/") and (name == skip[0] or _is_furniture(name, m[3])):
+            elif not closing and name not in _VOID and not m[3].rstrip().endswith("/") and (name == skip[0] or _is_furniture(name, m[3], depth > 0)):
                 skip.append(name)
             continue
-        if not closing and name not in _VOID and _is_furniture(name, m[3]):
+        if not closing and name not in _VOID and _is_furniture(name, m[3], depth > 0):
             if not m[3].rstrip().endswith("/"):
                 skip.append(name)
             for _ in range(window + 1):
@@ -130,29 +141,32 @@ def main_text(page: str | None, window: int = WINDOW, threshold: int = THRESHOLD
     if not page:
         return ""
     texts, sizes, inner = lines_of(page, window)
-    if any(inner):
-        sizes = [len(t) if i else 0 for t, i in zip(texts, inner, strict=True)]
-        least = 0
-    else:
-        least = -1
+    if within := any(inner):
+        texts = [t if i else "" for t, i in zip(texts, inner, strict=True)]
+        sizes = [n if i else 0 for n, i in zip(sizes, inner, strict=True)]
+    return "\n\n".join(t for a, z in stretches(sizes, window, 1 if within else threshold) for t in texts[a:z] if t)
+
+
+def stretches(sizes: list[int], window: int, threshold: int) -> list[tuple[int, int]]:
+    """First and one-past-last line of each stretch between a surge and the next dive."""
     n = len(sizes)
     sums = [sum(sizes[i : i + window]) for i in range(n)]
-    if least < 0:
-        least = min(threshold, max(sums, default=0) / 2)
-    kept, i = [], 0
+    least = min(threshold, max(sums, default=0) / 2)
+    found, i = [], 0
     while i < n:
-        if not sums[i] or sums[i] < least:
+        if not sums[i]:
             i += 1
             continue
         j = i
         while j < n and sums[j]:
             j += 1
-        # lines whose window has already begun to rise belong to the surge
-        while i and sums[i - 1] and sizes[i - 1]:
-            i -= 1
-        kept += [t for t, s in zip(texts[i:j], sizes[i:j], strict=True) if t and s]
+        # a line's window may end beyond it: the stretch is from its first line with text to its last
+        while not sizes[i]:
+            i += 1
+        if max(sums[i:j]) >= least:
+            found.append((i, j))
         i = j
-    return "\n\n".join(kept)
+    return found
 
 
 def extract(pages: DataFrame, html_col: str = "html") -> DataFrame:
