@@ -17,8 +17,10 @@ class JoinConfig:
     seed: int = 42
     prune: bool = True
     scale: str = "mu"  # mu, unit or cap: what an arc counts in the pruning sum
-    radius_mode: str = "bucket_plus_eps"  # mean_plus_eps, eps, or calibrated (with radius_share)
+    radius_mode: str = "bucket_plus_eps"  # mean_plus_eps, quantile_plus_eps, eps, or calibrated (with radius_share)
     radius_share: float = 1.0  # for calibrated: eps + share x bucket radius
+    radius_quantile: float = 0.9  # for quantile_plus_eps: share of a bucket's members within the radius
+    task_bytes: int = 1 << 30  # of vectors in memory, at most, in one task
     edge_merge: str = "union"  # or intersection
     neighbor_limit: int | None = None
     order: str = "overlap"  # id, random
@@ -37,7 +39,7 @@ class JoinConfig:
             raise ValueError("fractions lie in (0, 1]")
         if self.centers is not None and self.centers < 1:
             raise ValueError("at least one centre is needed")
-        for name, allowed in (("metric", ("l2", "cosine")), ("scale", ("mu", "unit", "cap")), ("radius_mode", ("bucket_plus_eps", "mean_plus_eps", "eps", "calibrated")), ("edge_merge", ("union", "intersection")), ("order", ("overlap", "id", "random")), ("policy", ("opt", "lru", "fifo", "lfu", "lifo")), ("executor", ("native", "edge_join", "segment"))):
+        for name, allowed in (("metric", ("l2", "cosine")), ("scale", ("mu", "unit", "cap")), ("radius_mode", ("bucket_plus_eps", "mean_plus_eps", "quantile_plus_eps", "eps", "calibrated")), ("edge_merge", ("union", "intersection")), ("order", ("overlap", "id", "random")), ("policy", ("opt", "lru", "fifo", "lfu", "lifo")), ("executor", ("native", "edge_join", "segment"))):
             if getattr(self, name) not in allowed:
                 raise ValueError(f"{name} is one of {', '.join(allowed)}")
 

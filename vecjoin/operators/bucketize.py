@@ -16,11 +16,16 @@ BROADCAST_BYTES = 64 << 20
 
 
 def sample_centers(vectors: DataFrame, m: int, seed: int = 42, method: str = "hash") -> DataFrame:
-    """(bucket_id, center): ``m`` vectors as centres - by keyed hash of the id (uniform, the same everywhere), or the first ids (prefix)."""
-    key = F.md5(F.concat(F.lit(f"{seed}:"), F.col("vec_id").cast("string"))) if method == "hash" else F.col("vec_id")
+    """(bucket_id, center): ``m`` vectors as centres - by keyed hash of the id (uniform, the same everywhere), the first ids (prefix),
+    or each vector by itself with the chance that gives ``m`` on average (bernoulli: a filter, without a sort)."""
+    digest = F.md5(F.concat(F.lit(f"{seed}:"), F.col("vec_id").cast("string")))
+    out = vectors.select(F.col("vec_id").alias("bucket_id"), F.col("v").alias("center"), "vec_id")
+    if method == "bernoulli":
+        share = m / max(1, vectors.count())
+        return out.where(F.conv(F.substring(digest, 1, 8), 16, 10).cast("long") < share * 2.0**32).drop("vec_id")
     if method not in ("hash", "prefix"):
-        raise ValueError("method is hash or prefix")
-    return vectors.orderBy(key, "vec_id").limit(m).select(F.col("vec_id").alias("bucket_id"), F.col("v").alias("center"))
+        raise ValueError("method is hash, prefix or bernoulli")
+    return out.orderBy(digest if method == "hash" else F.col("vec_id"), "vec_id").limit(m).drop("vec_id")
 
 
 def matrix(col: pa.Array) -> np.ndarray:

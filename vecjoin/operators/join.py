@@ -12,12 +12,12 @@ from pyspark.sql import functions as F
 
 from ..config import JoinConfig
 from ..functions.vectors import close_pairs, l2, normalize
-from ..plans import graph, orchestrate
+from ..plans import graph, orchestrate, two_sets
 from ..sources.storage import stored
-from .bucketize import assign_buckets, blocks, bucket_stats, matrix, sample_centers
+from .bucketize import BROADCAST_BYTES, assign_buckets, blocks, bucket_stats, matrix, sample_centers
 
 PAIRS = "id_lo long, id_hi long, dist double"
-#: Edges of at most so many bytes are ordered in one piece; a larger graph is cut by the first bucket's hash.
+#: So many edges at most are ordered in one piece; a larger graph is cut by the first bucket's hash.
 ORDER_EDGES = 2_000_000
 
 
@@ -30,6 +30,7 @@ class Layout:
     buckets: DataFrame
     d: int
     n: int
+    nearest: bool = True  # whether every vector is in the bucket of its nearest centre
 
 
 def build_layout(vectors: DataFrame, cfg: JoinConfig) -> Layout:
@@ -39,7 +40,13 @@ def build_layout(vectors: DataFrame, cfg: JoinConfig) -> Layout:
     m = cfg.centers or max(1, round(size[0] * cfg.centers_fraction))
     centers = sample_centers(vectors.select("vec_id", "v"), m, cfg.seed)
     assigned = stored(assign_buckets(vectors, centers))
-    return Layout(vectors, assigned, stored(bucket_stats(assigned, centers)), size[1] or 1, size[0])
+    exact = m * (size[1] or 1) * 8 <= BROADCAST_BYTES  # beyond that assignment goes by cells
+    return Layout(vectors, assigned, stored(bucket_stats(assigned, centers)), size[1] or 1, size[0], exact)
+
+
+def with_quantile(layout: Layout, q: float) -> DataFrame:
+    """The buckets with q_radius: the distance to the centre that a share ``q`` of a bucket's members doesn't exceed (interpolated)."""
+    return layout.buckets.join(layout.assigned.groupBy("bucket_id").agg(F.percentile("d_center", F.lit(q)).alias("q_radius")), "bucket_id")
 
 
 def _unpack(ids: pa.Array, mats: pa.Array, row: int) -> tuple[np.ndarray, np.ndarray]:
@@ -74,7 +81,7 @@ def execute_edge_join(layout: Layout, edges: DataFrame, cfg: JoinConfig) -> Data
     a = stored.select(F.col("bucket_id").alias("i"), F.col("block_no").alias("bi"), F.col("ids").alias("ia"), F.col("mat").alias("ma"))
     b = stored.select(F.col("bucket_id").alias("j"), F.col("block_no").alias("bj"), F.col("ids").alias("ib"), F.col("mat").alias("mb"))
     none = F.lit(None).cast("array<double>")
-    if cfg.margin_filter:
+    if cfg.margin_filter and layout.nearest:  # the margin holds for nearest centres only
         center = layout.buckets.select("bucket_id", "center")
         edges = edges.join(center.select(F.col("bucket_id").alias("i"), F.col("center").alias("ci")), "i").join(center.select(F.col("bucket_id").alias("j"), F.col("center").alias("cj")), "j")
     else:
@@ -107,6 +114,12 @@ def execute_native(layout: Layout, edges: DataFrame, cfg: JoinConfig) -> DataFra
     return met.select(F.least("x", "y").alias("id_lo"), F.greatest("x", "y").alias("id_hi"), l2("vx", "vy").alias("dist")).where(F.col("dist") <= cfg.distance)
 
 
+def memory_slots(buckets: DataFrame, cfg: JoinConfig) -> int:
+    """Buckets that one task may hold: ``memory_fraction`` of all, but no more than fit ``task_bytes`` in doubles at their mean size."""
+    n, size = buckets.agg(F.count(F.lit(1)), F.coalesce(F.avg("bytes"), F.lit(0.0))).first()
+    return max(2, min(round(n * cfg.memory_fraction), int(cfg.task_bytes // max(1.0, 2 * size))))
+
+
 def plan_segments(edges: DataFrame, buckets: DataFrame, cfg: JoinConfig) -> DataFrame:
     """(seg, seq, i, j) in planned order, tasks of a bucket with itself among them.
 
@@ -114,7 +127,7 @@ def plan_segments(edges: DataFrame, buckets: DataFrame, cfg: JoinConfig) -> Data
     """
     counts = edges.count()
     parts = max(1, -(-counts // ORDER_EDGES))
-    slots = max(2, round(buckets.count() * cfg.memory_fraction))
+    slots = memory_slots(buckets, cfg)
     order, every = cfg.order, edges.select("i", "j").union(buckets.select(F.col("bucket_id").alias("i"), F.col("bucket_id").alias("j")))
     cut = every.withColumn("part", F.pmod(F.xxhash64("i"), F.lit(parts)).cast("int"))
 
@@ -165,9 +178,11 @@ EXECUTORS = {"edge_join": execute_edge_join, "native": execute_native, "segment"
 def self_join(vectors: DataFrame, cfg: JoinConfig, layout: Layout | None = None, where: Column | None = None, symmetric: bool = False) -> DataFrame:
     """(id_lo, id_hi, dist) of pairs within the distance; ``where`` filters vectors by their attributes before any distance."""
     layout = layout or build_layout(vectors, cfg)
+    if cfg.radius_mode == "quantile_plus_eps" and "q_radius" not in layout.buckets.columns:
+        layout = replace(layout, buckets=with_quantile(layout, cfg.radius_quantile))
     edges = graph.bucket_graph(layout.buckets, cfg, layout.d)
     if where is not None:
-        layout = Layout(layout.vectors, layout.assigned.where(where), layout.buckets, layout.d, layout.n)
+        layout = replace(layout, assigned=layout.assigned.where(where))
     out = EXECUTORS[cfg.executor](layout, edges, cfg)
     if symmetric:
         out = out.union(out.select(F.col("id_hi").alias("id_lo"), F.col("id_lo").alias("id_hi"), "dist"))
@@ -209,27 +224,89 @@ def calibrate_radius(layout: Layout, cfg: JoinConfig, sample: int = 500, steps:
     return replace(cfg, radius_mode="calibrated", radius_share=high)
 
 
-def cross_join(x: DataFrame, y: DataFrame, cfg: JoinConfig) -> DataFrame:
-    """(x_id, y_id, dist) of pairs of two sets within the distance: separate buckets, and a graph between them."""
-    a, b = build_layout(x, cfg), build_layout(y, cfg)
+def cross_graph(a: Layout, b: Layout, cfg: JoinConfig) -> DataFrame:
+    """(i, j) of the buckets of two layouts that may hold pairs within the distance, pruned as ``cfg`` says."""
     left = a.buckets.select(F.col("bucket_id").alias("i"), F.col("center").alias("ci"), F.col("radius").alias("r_i"), F.col("mean_radius").alias("m_i"))
     right = b.buckets.select(F.col("bucket_id").alias("j"), F.col("center").alias("cj"), F.col("radius").alias("r_j"), F.col("mean_radius").alias("m_j"))
     cand = graph.near_pairs(left, right, cfg.distance)
-    if cfg.prune and a.d > 1:
-        mine = graph.prune_edges(cand.select("i", "j", "center_dist", "r_i", "m_i"), cfg, a.d).select("i", "j")
-        theirs = graph.prune_edges(cand.select(F.col("j").alias("i"), F.col("i").alias("j"), "center_dist", F.col("r_j").alias("r_i"), F.col("m_j").alias("m_i")), cfg, a.d).select(F.col("j").alias("i"), F.col("i").alias("j"))
-        edges = mine.union(theirs).distinct() if cfg.edge_merge == "union" else mine.intersect(theirs)
-    else:
-        edges = cand.select("i", "j")
+    if not cfg.prune or a.d < 2:
+        return cand.select("i", "j")
+    mine = graph.prune_edges(cand.select("i", "j", "center_dist", "r_i", "m_i"), cfg, a.d).select("i", "j")
+    theirs = graph.prune_edges(cand.select(F.col("j").alias("i"), F.col("i").alias("j"), "center_dist", F.col("r_j").alias("r_i"), F.col("m_j").alias("m_i")), cfg, a.d).select(F.col("j").alias("i"), F.col("i").alias("j"))
+    return mine.union(theirs).distinct() if cfg.edge_merge == "union" else mine.intersect(theirs)
+
+
+CROSS = "x_id long, y_id long, dist double"
+
+
+def _met(ia: np.ndarray, ma: np.ndarray, ib: np.ndarray, mb: np.ndarray, eps: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    p, q, d = close_pairs(ma, mb, eps)
+    return ia[p], ib[q], d
+
+
+def cross_join(x: DataFrame, y: DataFrame, cfg: JoinConfig, streamed: str | None = None) -> DataFrame:
+    """(x_id, y_id, dist) of pairs of two sets within the distance: separate buckets, and a graph between them.
+
+    ``streamed`` is the side whose buckets are taken in order while those of the other are cached: larger, smaller,
+    or none, where blocks meet by two joins instead.
+    """
+    a, b = build_layout(x, cfg), build_layout(y, cfg)
+    edges = cross_graph(a, b, cfg)
+    eps = cfg.distance
+    if streamed is not None:
+        return _cross_in_order(a, b, edges, cfg, streamed_side(a, b, streamed))
     sa = blocks(a.assigned.select("bucket_id", "vec_id", "v"), cfg.block_rows).select(F.col("bucket_id").alias("i"), F.col("ids").alias("ia"), F.col("mat").alias("ma"))
     sb = blocks(b.assigned.select("bucket_id", "vec_id", "v"), cfg.block_rows).select(F.col("bucket_id").alias("j"), F.col("ids").alias("ib"), F.col("mat").alias("mb"))
-    eps = cfg.distance
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for r in range(batch.num_rows):
-                (ia, ma), (ib, mb) = _unpack(batch.column(0), batch.column(1), r), _unpack(batch.column(2), batch.column(3), r)
-                p, q, d = close_pairs(ma, mb, eps)
-                yield pa.RecordBatch.from_arrays([pa.array(ia[p]), pa.array(ib[q]), pa.array(d)], names=["x_id", "y_id", "dist"])
+                found = _met(*_unpack(batch.column(0), batch.column(1), r), *_unpack(batch.column(2), batch.column(3), r), eps)
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in found], names=["x_id", "y_id", "dist"])
+
+    return edges.join(sa, "i").join(sb, "j").select("ia", "ma", "ib", "mb").mapInArrow(verify, CROSS)
+
+
+def streamed_side(a: Layout, b: Layout, streamed: str) -> int:
+    """0 if the left set is the ``larger`` or ``smaller`` one as asked, else 1."""
+    if streamed not in ("larger", "smaller"):
+        raise ValueError("streamed is larger or smaller")
+    return int((a.n < b.n) == (streamed == "larger"))
+
+
+def plan_two_sets(edges: DataFrame, buckets: DataFrame, cfg: JoinConfig, side: int) -> DataFrame:
+    """(seg, seq, i, j): tasks in planned order, cut into runs that fit one task. A graph of over ORDER_EDGES edges is cut by the hash of the streamed bucket."""
+    parts = max(1, -(-edges.count() // ORDER_EDGES))
+    slots, order = memory_slots(buckets, cfg), cfg.order
+
+    def plan(table: pa.Table) -> pa.Table:
+        tasks = two_sets.two_set_tasks(list(zip(table["i"].to_pylist(), table["j"].to_pylist(), strict=True)), slots, side, order)
+        part = table["part"][0].as_py()
+        return pa.table({"seg": pa.array([part * (1 << 32) + s for s in two_sets.two_set_segments(tasks, slots)], pa.int64()), "seq": pa.array(range(len(tasks)), pa.int64()), "i": pa.array([t[0] for t in tasks], pa.int64()), "j": pa.array([t[1] for t in tasks], pa.int64())})
+
+    return edges.select("i", "j", F.pmod(F.xxhash64("j" if side else "i"), F.lit(parts)).cast("int").alias("part")).groupBy("part").applyInArrow(plan, "seg long, seq long, i long, j long")
+
+
+def _cross_in_order(a: Layout, b: Layout, edges: DataFrame, cfg: JoinConfig, side: int) -> DataFrame:
+    tasks = stored(plan_two_sets(edges, a.buckets.select("bucket_id", "bytes").union(b.buckets.select("bucket_id", "bytes")), cfg, side))
+    held_by = []
+    for n, (layout, at) in enumerate(((a, "i"), (b, "j"))):
+        need = tasks.select("seg", F.col(at).alias("bucket_id")).distinct().join(blocks(layout.assigned.select("bucket_id", "vec_id", "v"), cfg.block_rows), "bucket_id")
+        held_by.append(need.select(F.col("seg").alias("for_seg"), F.lit(n).alias("side"), "bucket_id", "ids", "mat"))
+    eps = cfg.distance
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        held: dict[tuple[int, int], list[tuple[np.ndarray, np.ndarray]]] = {}
+        ids, mats = right["ids"].combine_chunks(), right["mat"].combine_chunks()
+        for r, key in enumerate(zip(right["side"].to_pylist(), right["bucket_id"].to_pylist(), strict=True)):
+            held.setdefault(key, []).append(_unpack(ids, mats, r))
+        found = [_met(*p, *q, eps) for i, j in zip(left["i"].to_pylist(), left["j"].to_pylist(), strict=True) for p in held[0, i] for q in held[1, j]]
+        return pa.table({name: pa.array(np.concatenate(c), kind) for name, c, kind in zip(("x_id", "y_id", "dist"), zip(*found, strict=True), (pa.int64(), pa.int64(), pa.float64()), strict=True)})
+
+    return tasks.groupBy("seg").cogroup(held_by[0].union(held_by[1]).groupBy("for_seg")).applyInArrow(run, CROSS)
+
 
-    return edges.join(sa, "i").join(sb, "j").select("ia", "ma", "ib", "mb").mapInArrow(verify, "x_id long, y_id long, dist double")
+def side_join(vectors: DataFrame, cfg: JoinConfig, one: Column, other: Column) -> DataFrame:
+    """(id_lo, id_hi, dist) of pairs of which one vector meets the condition ``one`` and its partner ``other``; each set has buckets of its own."""
+    met = cross_join(vectors.where(one), vectors.where(other), cfg).where("x_id <> y_id")
+    return met.groupBy(F.least("x_id", "y_id").alias("id_lo"), F.greatest("x_id", "y_id").alias("id_hi")).agg(F.min("dist").alias("dist"))

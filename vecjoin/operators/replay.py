@@ -13,7 +13,7 @@ from ..config import JoinConfig
 from ..functions.vectors import close_pairs
 from ..plans import graph, orchestrate
 from ..sources.storage import Manifest, StoredLayout, open_files, read_extent, store, write_extents
-from .join import PAIRS, build_layout, plan_segments
+from .join import PAIRS, build_layout, memory_slots, plan_segments
 
 COUNTS = "run long, tasks long, loads long, hits long, reads long, read_bytes long, page_bytes long, used_bytes long, distances long, pairs long, io_seconds double, compute_seconds double"
 PAGE = 4096
@@ -28,7 +28,7 @@ def write_layout(vectors: DataFrame, cfg: JoinConfig, path: str, mode: str = "cl
 
 def _replay(stored: StoredLayout, cfg: JoinConfig, run_tasks: int, counts: bool) -> DataFrame:
     edges = graph.bucket_graph(stored.buckets, cfg, stored.manifest.d)
-    slots = max(2, round(stored.buckets.count() * cfg.memory_fraction))
+    slots = memory_slots(stored.buckets, cfg)
     planned = plan_segments(edges, stored.buckets, cfg).withColumn("part", F.shiftright("seg", 32)).drop("seg")
     parts = stored.places.groupBy("bucket_id").agg((F.max("block_no") + 1).alias("parts"))
     # a bucket of many blocks is met block by block, and its tasks go to runs of their own

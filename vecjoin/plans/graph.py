@@ -29,7 +29,8 @@ def cap_share(x: float, d: int) -> float:
 
 
 def _sides(buckets: DataFrame) -> tuple[DataFrame, DataFrame]:
-    left = buckets.select(F.col("bucket_id").alias("i"), F.col("center").alias("ci"), F.col("radius").alias("r_i"), F.col("mean_radius").alias("m_i"), F.col("n").alias("n_i"))
+    more = [F.col("q_radius").alias("q_i")] if "q_radius" in buckets.columns else []
+    left = buckets.select(F.col("bucket_id").alias("i"), F.col("center").alias("ci"), F.col("radius").alias("r_i"), F.col("mean_radius").alias("m_i"), F.col("n").alias("n_i"), *more)
     return left, buckets.select(F.col("bucket_id").alias("j"), F.col("center").alias("cj"), F.col("radius").alias("r_j"), F.col("n").alias("n_j"))
 
 
@@ -69,6 +70,8 @@ def triangle_edges(cand: DataFrame, eps: float) -> DataFrame:
 def reach(cfg: JoinConfig) -> Column:
     """Radius of the ball whose loss is estimated."""
     eps = F.lit(cfg.distance)
+    if cfg.radius_mode == "quantile_plus_eps":
+        return F.col("q_i") + eps
     return {"bucket_plus_eps": F.col("r_i") + eps, "mean_plus_eps": F.col("m_i") + eps, "eps": eps, "calibrated": eps + cfg.radius_share * F.col("r_i")}[cfg.radius_mode]
 
 

@@ -224,7 +224,9 @@ def queries() -> dict[str, Query]:
         "stream_dedup": lambda s, d: streams.drain(streams.drop_repeats(streams.event_stream(s, d)), "append").select("event_id"),
         "stream_incremental_join": lambda s, d: _round(streams.incremental_join(tables.embeddings(s, d), JoinConfig(eps=EMB_EPS, recall=1.0, prune=False, centers=8)), "dist"),
     }
-    return q | workloads.queries()
+    from . import relational, surface  # they use this module's fixtures
+
+    return q | workloads.queries() | relational.queries() | surface.queries()
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -338,7 +340,9 @@ def oracle_sql() -> dict[str, str]:
         "stream_sliding": "SELECT strftime(date_trunc('day', ts) - to_days(CAST(back AS INT)), '%Y-%m-%d') AS day, event_type, count(*) AS n FROM events, (SELECT unnest([0, 1]) AS back) GROUP BY 1, 2",
         "stream_dedup": "SELECT DISTINCT event_id FROM events",
     }
-    return out
+    from . import relational, surface
+
+    return out | relational.oracle_sql() | surface.oracle_sql()
 
 
 def describe() -> str:

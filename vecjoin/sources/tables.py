@@ -22,7 +22,7 @@ def planted(spark: SparkSession, sf_dir: str, copies: int = 4) -> DataFrame:
     """(vec_id, v, label, k): clusters around the embeddings whose ids equal a label, each vector with near copies."""
     emb = embeddings(spark, sf_dir)
     n = F.broadcast(emb.agg(F.count(F.lit(1)).alias("n")))
-    anchors = F.broadcast(emb.select(F.col("vec_id").alias("label"), F.col("v").alias("anchor")).where("label < 1000"))
+    anchors = emb.select(F.col("vec_id").alias("label"), F.col("v").alias("anchor"))
     base = emb.crossJoin(n).withColumn("k", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))))
     base = base.withColumn("other", F.pmod(31 * F.col("vec_id") + 17 * F.col("k") + 7, F.col("n")))
     other = emb.select(F.col("vec_id").alias("other"), F.col("v").alias("w"))

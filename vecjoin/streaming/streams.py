@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -10,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..config import JoinConfig
 from ..operators.join import cross_join, self_join
+from ..sources.storage import folder
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -35,18 +35,27 @@ def drop_repeats(events: DataFrame, late: str = "2 days") -> DataFrame:
 
 
 def drain(stream: DataFrame, mode: str = "complete") -> DataFrame:
-    """What the stream says after all that is there now."""
-    name = f"drained_{uuid.uuid4().hex}"
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
-    query.awaitTermination()
-    return stream.sparkSession.table(name)
+    """What the stream says after all that is there now, by way of Parquet in the session's shared folder.
+
+    complete: the result as it stands after the last batch; append: what the batches added.
+    """
+    if mode not in ("complete", "append"):
+        raise ValueError("mode is complete or append")
+    spark = stream.sparkSession
+    base = f"{folder(spark)}/drained-{uuid.uuid4().hex}"
+    spark.createDataFrame([], stream.schema).write.parquet(f"{base}/out/none")
+
+    def take(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{base}/out/{number if mode == 'append' else 'last'}")  # a retried batch writes the same again
+
+    stream.writeStream.foreachBatch(take).option("checkpointLocation", f"{base}/state").outputMode(mode).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).option("recursiveFileLookup", "true").parquet(f"{base}/out")
 
 
 def incremental_join(vectors: DataFrame, cfg: JoinConfig, batches: int = 3) -> DataFrame:
     """Pairs found batch by batch: each micro-batch is joined with itself and with all before it, and then stored."""
     spark = vectors.sparkSession
-    folder = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="vecjoin-")
-    base = f"{folder}/stream-{uuid.uuid4().hex}"
+    base = f"{folder(spark)}/stream-{uuid.uuid4().hex}"
     dealt = vectors.select("vec_id", "v", F.pmod(F.xxhash64("vec_id"), F.lit(batches)).cast("int").alias("turn"))
     for t in range(batches):
         dealt.where(F.col("turn") == t).drop("turn").coalesce(1).write.mode("append").parquet(f"{base}/in")
@@ -54,10 +63,9 @@ def incremental_join(vectors: DataFrame, cfg: JoinConfig, batches: int = 3) -> D
 
     def take(batch: DataFrame, number: int) -> None:
         batch = batch.select("vec_id", "v")
-        if batch.isEmpty():
-            return
-        found = self_join(batch, cfg)
-        if number:
+        empty = batch.isEmpty()  # an empty batch is written as well: later ones read all before them
+        found = spark.createDataFrame([], pairs) if empty else self_join(batch, cfg)
+        if number and not empty:
             old = spark.read.schema("vec_id long, v array<double>").parquet(*[f"{base}/seen/{i}" for i in range(number)])
             if not old.isEmpty():
                 met = cross_join(batch, old, cfg)
