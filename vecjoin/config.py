@@ -26,7 +26,7 @@ class JoinConfig:
     order: str = "overlap"  # id, random
     policy: str = "opt"  # lru, fifo, lfu, lifo
     pin_partner: bool = True
-    executor: str = "edge_join"  # native, segment
+    executor: str = "segment"  # in planned order, each bucket once a segment; or edge_join, native
     block_rows: int = 4096
     margin_filter: bool = False
 

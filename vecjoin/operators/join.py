@@ -162,7 +162,7 @@ def execute_segment(layout: Layout, edges: DataFrame, cfg: JoinConfig) -> DataFr
             held.setdefault(b, []).append(_unpack(ids, mats, r))
         work = []
         for i, j in zip(left["i"].to_pylist(), left["j"].to_pylist(), strict=True):
-            a, b = held[i], held[j]
+            a, b = held.get(i, []), held.get(j, [])  # a filter may have emptied a bucket
             if i == j:
                 work += [(*x, None, None) for x in a] + [(*a[p], *a[q]) for p in range(len(a)) for q in range(p + 1, len(a))]
             else:
@@ -176,14 +176,17 @@ EXECUTORS = {"edge_join": execute_edge_join, "native": execute_native, "segment"
 
 
 def self_join(vectors: DataFrame, cfg: JoinConfig, layout: Layout | None = None, where: Column | None = None, symmetric: bool = False) -> DataFrame:
-    """(id_lo, id_hi, dist) of pairs within the distance; ``where`` filters vectors by their attributes before any distance."""
+    """(id_lo, id_hi, dist) of pairs within the distance; ``where`` filters vectors by their attributes before any distance.
+
+    The margin filter works on single pairs of blocks and goes with the edge join, whatever ``cfg.executor`` says.
+    """
     layout = layout or build_layout(vectors, cfg)
     if cfg.radius_mode == "quantile_plus_eps" and "q_radius" not in layout.buckets.columns:
         layout = replace(layout, buckets=with_quantile(layout, cfg.radius_quantile))
     edges = graph.bucket_graph(layout.buckets, cfg, layout.d)
     if where is not None:
         layout = replace(layout, assigned=layout.assigned.where(where))
-    out = EXECUTORS[cfg.executor](layout, edges, cfg)
+    out = EXECUTORS["edge_join" if cfg.margin_filter else cfg.executor](layout, edges, cfg)
     if symmetric:
         out = out.union(out.select(F.col("id_hi").alias("id_lo"), F.col("id_lo").alias("id_hi"), "dist"))
     return out
@@ -300,7 +303,8 @@ def _cross_in_order(a: Layout, b: Layout, edges: DataFrame, cfg: JoinConfig, sid
         ids, mats = right["ids"].combine_chunks(), right["mat"].combine_chunks()
         for r, key in enumerate(zip(right["side"].to_pylist(), right["bucket_id"].to_pylist(), strict=True)):
             held.setdefault(key, []).append(_unpack(ids, mats, r))
-        found = [_met(*p, *q, eps) for i, j in zip(left["i"].to_pylist(), left["j"].to_pylist(), strict=True) for p in held[0, i] for q in held[1, j]]
+        found = [_met(*p, *q, eps) for i, j in zip(left["i"].to_pylist(), left["j"].to_pylist(), strict=True) for p in held.get((0, i), []) for q in held.get((1, j), [])]
+        found.append((np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)))
         return pa.table({name: pa.array(np.concatenate(c), kind) for name, c, kind in zip(("x_id", "y_id", "dist"), zip(*found, strict=True), (pa.int64(), pa.int64(), pa.float64()), strict=True)})
 
     return tasks.groupBy("seg").cogroup(held_by[0].union(held_by[1]).groupBy("for_seg")).applyInArrow(run, CROSS)

@@ -230,7 +230,7 @@ def queries() -> dict[str, Query]:
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return join.self_join(tables.embeddings(spark, sf_dir), JoinConfig(eps=1.139227, recall=1.0, prune=False, centers=EMB_CENTERS, executor="native"))
+    return join.self_join(tables.embeddings(spark, sf_dir), JoinConfig(eps=1.139227, recall=1.0, prune=False, centers=EMB_CENTERS, memory_fraction=0.4))
 
 
 _EMB = "emb AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS v, label FROM embeddings)"
