@@ -152,7 +152,7 @@ def _table(frame: bytes, side: int, start: int) -> dict | None:
         if flags & 4:
             out["toc"] = list(frame[at2 : at2 + 100])
         return out
-    if frame[36:40] == b"VBRI":
+    if frame[36:40] == b"VBRI" and len(frame) >= 62:  # a shorter frame only happens to hold the mark
         size, frames = struct.unpack(">II", frame[46:54])
         entries, scale, width = struct.unpack(">HHH", frame[54:60])
         toc = [int.from_bytes(frame[62 + i * width : 62 + (i + 1) * width], "big") * scale for i in range(entries)]
