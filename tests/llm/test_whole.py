@@ -9,7 +9,7 @@ import duckdb
 import numpy as np
 from pyspark.sql import functions as F
 
-from vecjoin.llm import benchmark_winnowing, fuzzy_lines, line_blocks, merge_dropout, unit_dedup
+from vecjoin.llm import benchmark_winnowing, fuzzy_lines, line_blocks, merge_dropout, mpeg_audio, unit_dedup
 
 
 def test_lines_beyond_two_bits(spark):
@@ -185,3 +185,54 @@ def test_names_that_mention_furniture():
     assert line_blocks.main_text(page) == long.strip()
     page = f"<article><header><h1>Head</h1></header><div class='entry-header'><h2>Title</h2></div><section class='related-work'><p>{long}</p></section><ul><li><a href=x>one</a><li><a>two</a><li><a>three</a></ul></article><p>{long}"
     assert line_blocks.main_text(page) == f"Head\n\nTitle\n\n{long.strip()}"
+
+
+def naive_pieces(text, key, v, dropout):
+    """Merges one by one on plain lists: best rank, leftmost, skipped candidates marked."""
+    symbol = [(-1 if c in "▁\n" else v.char.get("▁" if c == " " else c, -1), i, i + 1) for i, c in enumerate(text)]
+    skipped = set()
+    while True:
+        best = None
+        for k, (a, b) in enumerate(itertools.pairwise(symbol)):
+            hit = v.pairs.get(a[0] * v.base + b[0]) if a[0] >= 0 and b[0] >= 0 else None
+            if hit and (a[1], b[1], b[2]) not in skipped and hit[0] < 2**31 - 1 and (best is None or hit[0] < best[0]):
+                best = (hit[0], k, hit[1])
+        if best is None:
+            break
+        a, b = symbol[best[1]], symbol[best[1] + 1]
+        x = np.array([key], np.uint64)
+        if merge_dropout._skipped(x, *(np.array([p]) for p in (a[1], b[1], b[2])), dropout)[0]:
+            skipped.add((a[1], b[1], b[2]))
+        else:
+            symbol[best[1] : best[1] + 2] = [(best[2], a[1], b[2])]
+    out = []
+    for s, i, _ in symbol:
+        out += [s] if 0 <= s < len(v.size) else [int(v.byte_id[x]) for x in text[i].encode()]
+    return out
+
+
+def test_dropout_brute(monkeypatch):
+    """Rows of arrays, the agenda and plain lists give the same pieces at any dropout; a long run takes little time."""
+    v = merge_dropout.pieces(merge_dropout.MODEL)
+    rng = random.Random(6)
+    texts = ["".join(rng.choice(["the", "ing", "é", "日", "un", " ", "stand", "x", "▁", "er"]) for _ in range(rng.randint(1, 30))) for _ in range(60)]
+    for dropout in (0.0, 0.1, 0.5):
+        monkeypatch.setattr(merge_dropout, "LONG", 10**9)
+        rows = merge_dropout.encode(texts, v, dropout, 3)
+        monkeypatch.setattr(merge_dropout, "LONG", 0)
+        agenda = merge_dropout.encode(texts, v, dropout, 3)
+        assert np.array_equal(rows[0], agenda[0]) and np.array_equal(rows[1], agenda[1])
+        chunks = [c for t in texts for c in merge_dropout._CHUNK.findall(" " + t)]
+        keys = np.arange(1, len(chunks) + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+        for c, k in zip(chunks, keys, strict=True):
+            assert merge_dropout._merge_long(c, int(k), v, dropout).tolist() == naive_pieces(c, k, v, dropout)
+    monkeypatch.setattr(merge_dropout, "LONG", 256)
+    run = "".join(rng.choice("abcdefgh") for _ in range(100_000))
+    ids, count = merge_dropout.encode([run], v, 0.1)
+    assert merge_dropout.decode(ids, count, v) == [run]
+
+
+def test_mark_in_short_frame():
+    """A frame of under 62 bytes that holds the VBRI mark is a frame like others."""
+    for size in range(40, 62):
+        assert mpeg_audio._table(bytes(36) + b"VBRI" + bytes(size - 40), 32, 4) is None
