@@ -7,9 +7,10 @@ import re
 
 import duckdb
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import functions as F
 
-from vecjoin.llm import benchmark_winnowing, fuzzy_lines, line_blocks, merge_dropout, mpeg_audio, unit_dedup
+from vecjoin.llm import benchmark_winnowing, fuzzy_lines, line_blocks, merge_dropout, mpeg_audio, unit_dedup, weighted_minhash
 
 
 def test_lines_beyond_two_bits(spark):
@@ -236,3 +237,41 @@ def test_mark_in_short_frame():
     """A frame of under 62 bytes that holds the VBRI mark is a frame like others."""
     for size in range(40, 62):
         assert mpeg_audio._table(bytes(36) + b"VBRI" + bytes(size - 40), 32, 4) is None
+
+
+def test_near_duplicates_in_blocks(spark, monkeypatch):
+    """Buckets of more nodes than ``SMALL`` are compared in blocks, and the groups are those of all pairs."""
+    monkeypatch.setattr(weighted_minhash, "SMALL", 3)
+    monkeypatch.setattr(weighted_minhash, "BLOCK", 8)
+    monkeypatch.setattr(weighted_minhash, "HUBS", weighted_minhash.HUBS[:1])
+    asked = []
+    blocks = weighted_minhash._block_links
+    monkeypatch.setattr(weighted_minhash, "_block_links", lambda large, *rest: (asked.append(large.count()), blocks(large, *rest))[1])
+    rng = random.Random(12)
+    vocabulary = [f"w{i}" for i in range(400)]
+    base = [rng.choice(vocabulary) for _ in range(120)]
+    texts = [" ".join(base)]
+    for _ in range(90):  # a chain of small edits: its ends are unlike
+        base = list(base)
+        for _ in range(rng.choice([1, 2, 4, 9])):
+            base[rng.randrange(len(base))] = rng.choice(vocabulary)
+        texts.append(" ".join(base))
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    n, of = weighted_minhash.document_frequencies(df)
+    idf = weighted_minhash.Idf(n, of, weighted_minhash.FLOOR)
+    pairs = list(itertools.combinations(range(len(texts)), 2))
+    alike = weighted_minhash.weighted_jaccard(pa.array([texts[a] for a, _ in pairs]), pa.array([texts[b] for _, b in pairs]), idf)
+    group = list(range(len(texts)))
+    for (a, b), j in zip(pairs, alike, strict=True):
+        if j >= 0.8:
+            low, high = sorted((group[a], group[b]))
+            group = [low if g == high else g for g in group]
+    got = {r.doc_id: r.class_id for r in weighted_minhash.near_duplicates(df).collect()}
+    assert [got[i] for i in range(len(texts))] == group and sum(asked) > 0 and 1 < len(set(group)) < len(texts)
+
+
+def test_keep_first_of_equal_rows(spark):
+    text = " ".join(f"word{i}" for i in range(30))
+    docs = spark.createDataFrame([(1, text, "a"), (1, text, "b"), (2, text, "c"), (3, "", "d"), (3, "", "e"), (4, None, "f"), (1, "other words of the same id are here", "g")], "doc_id long, text string, h1 string")
+    kept = sorted(r.h1 for r in weighted_minhash.keep_first(docs).collect())
+    assert kept[0] in "ab" and kept[1:] == ["d", "e", "f", "g"]
