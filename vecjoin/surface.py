@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import uuid
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -144,13 +145,18 @@ def recall_sampled(spark: SparkSession, d: str) -> DataFrame:
 
 def seeds_50(spark: SparkSession, d: str) -> DataFrame:
     """Pairs left to compare over 50 draws of centres, with mean and deviation, as the spread of the work."""
-    v, out = storage.stored(tables.planted(spark, d)), None
-    for seed in range(50):
+    v = storage.stored(tables.planted(spark, d))
+    storage.folder(spark)
+
+    def work(seed: int) -> tuple[int, int]:
         cfg = replace(workloads.BASE, seed=seed)
         layout = join.build_layout(v, cfg)
-        one = metrics.candidate_counts(graph.bucket_graph(layout.buckets, cfg, layout.d), layout.buckets).select((F.col("pairs_across") + F.col("pairs_within")).alias("work"))
-        out = one if out is None else out.union(one)
-    return out.agg(F.count(F.lit(1)).alias("draws"), F.avg("work").alias("mean"), F.stddev_samp("work").alias("deviation"))
+        c = metrics.candidate_counts(graph.bucket_graph(layout.buckets, cfg, layout.d), layout.buckets).first()
+        return seed, c["pairs_across"] + c["pairs_within"]
+
+    with ThreadPoolExecutor(8) as pool:  # many small jobs: they overlap
+        rows = list(pool.map(work, range(50)))
+    return spark.createDataFrame(rows, "seed long, work long").agg(F.count(F.lit(1)).alias("draws"), F.avg("work").alias("mean"), F.stddev_samp("work").alias("deviation"))
 
 
 def methods(spark: SparkSession, d: str) -> DataFrame:
