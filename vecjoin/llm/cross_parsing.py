@@ -34,7 +34,7 @@ TEXTS, TEXT_CHARS = 200, 4_000
 
 
 def normalise(text: str) -> str:
-    """Lower-case letters (marks stay with them); runs of anything else are one space."""
+    """Lower-case letters; runs of anything else are one space. Combining marks that are no letters count as anything else, in learning and in prediction alike."""
     return " ".join("".join(c if c.isalpha() else " " for c in text.lower()).split())
 
 
