@@ -19,6 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .kernels import grams, inside, list_array, words_of
+from .lines import slices
 
 WINDOW_WORDS, GRAM_WORDS = 10, 5
 #: Bytes of benchmark text that travel to every task at once; a larger benchmark goes in several blocks.
@@ -118,16 +119,21 @@ def _blocks(benchmark: DataFrame, block_bytes: int) -> Iterator[tuple[list[str |
         yield [r[0] for r in rows], [r[1] for r in rows]
 
 
+def clean_rows(batches: Iterator[pa.RecordBatch], known: _Items, at: int) -> Iterator[pa.RecordBatch]:
+    """The rows whose text (column ``at``) holds no window of ``known``, by slices of bounded size."""
+    for whole in batches:
+        for batch in slices(whole, at):
+            hits = known.hits(*words_of(batch.column(at)))
+            yield batch.filter(pa.array([i not in hits for i in range(batch.num_rows)], pa.bool_()))
+
+
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW_WORDS, k: int = GRAM_WORDS, block_bytes: int = BLOCK_BYTES, text: str = "text") -> DataFrame:
     """``docs`` without the rows that share a window with an item; one pass over the rows for each block of items."""
     at = docs.columns.index(text)
     for ids, texts in _blocks(benchmark, block_bytes):
 
         def scan(batches: Iterator[pa.RecordBatch], ids=ids, texts=texts) -> Iterator[pa.RecordBatch]:
-            known = _Items(ids, texts, window, k)
-            for batch in batches:
-                hits = known.hits(*words_of(batch.column(at)))
-                yield batch.filter(pa.array([i not in hits for i in range(batch.num_rows)], pa.bool_()))
+            yield from clean_rows(batches, _Items(ids, texts, window, k), at)
 
         docs = docs.mapInArrow(scan, docs.schema)
     return docs
@@ -150,7 +156,7 @@ def find_hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW_WORDS,
 
         def scan(batches: Iterator[pa.RecordBatch], ids=ids, texts=texts, turn=turn, names=names) -> Iterator[pa.RecordBatch]:
             known = _Items(ids, texts, window, k)
-            for batch in batches:
+            for batch in (part for whole in batches for part in slices(whole, whole.schema.get_field_index("text"))):
                 words, ptr = words_of(batch.column("text"))
                 hits = known.hits(words, ptr)
                 spans = [hits[i][0] if i in hits else [] for i in range(batch.num_rows)]
