@@ -2,6 +2,7 @@
 
 import numpy as np
 
+from vecjoin.functions.proximity import ProximityGraph, near_links
 from vecjoin.operators import apps, baselines
 from vecjoin.sources import storage
 
@@ -78,3 +79,21 @@ def test_vectors_of_texts_are_computed_once(spark, small, monkeypatch):
     workloads.filtered(spark, small), workloads.leakage(spark, small), registry.dedupe_documents(spark, small)
     assert len(plans) == 4 and not any("Aggregate" in p or "Generate" in p for p in plans)
     assert sizes[-1][0] == sizes[-1][1]
+
+
+def test_walks_side_by_side():
+    """Many walks of a proximity graph at a time read what each reads alone, for beams and k of any length, and links are found in runs."""
+    rng = np.random.default_rng(5)
+    x = np.concatenate([rng.normal(size=(300, 8)), rng.normal(size=(100, 8)) * 0.05])
+    graph = ProximityGraph(x, 6)
+    assert ProximityGraph(x, 6, near=near_links(x, 0, 150, 6) + near_links(x, 150, 400, 6)).links == graph.links
+    q = np.concatenate([x[::7], rng.normal(size=(20, 8))])
+    for k, beam in ((1, 4), (5, 12), (40, 12), (500, 12)):
+        got = [[] for _ in q]
+        for row, node, square in graph.search_many(q, k, beam, 16):
+            for i, j, d in zip(row.tolist(), node.tolist(), square.tolist(), strict=True):
+                got[i].append(j)
+                assert d == ((x[j] - q[i]) ** 2).sum()
+        assert got == [graph.search(one, k, beam)[0] for one in q]
+    one = ProximityGraph(x[:1])
+    assert [r.tolist() for r in next(one.search_many(x[:2], 3, 4))[:2]] == [[0, 1], [0, 0]]
